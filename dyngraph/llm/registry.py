@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dyngraph.llm import quality_ftrl, shard_ring, string_kernel, term_topk, vector_packing
+from dyngraph.llm import decontaminate, quality_ftrl, shard_ring, simhash_tiles, string_kernel, term_topk, vector_packing
 from dyngraph.llm.common import table
 
 
@@ -10,10 +10,18 @@ def op1_hash_ring(spark, sf_dir):
     return shard_ring.shard_documents(table(spark, sf_dir, "documents"))
 
 
+def op2_decontamination(spark, sf_dir):
+    return decontaminate.contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op3_quality(spark, sf_dir):
     return quality_ftrl.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op5_simhash(spark, sf_dir):
+    return simhash_tiles.near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op7_packing(spark, sf_dir):
     return vector_packing.pack_documents(table(spark, sf_dir, "documents"))
 
@@ -27,8 +35,8 @@ def op9_topk(spark, sf_dir):
 
 
 def queries():
-    return {f.__name__: f for f in (op1_hash_ring, op3_quality, op7_packing, op8_language, op9_topk)}
+    return {f.__name__: f for f in (op1_hash_ring, op2_decontamination, op3_quality, op5_simhash, op7_packing, op8_language, op9_topk)}
 
 
 def oracle_sql():
-    return {"op9_topk": term_topk.ORACLE}
+    return {"op2_decontamination": decontaminate.ORACLE, "op9_topk": term_topk.ORACLE}
