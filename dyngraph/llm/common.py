@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import itertools
 import os
 import tempfile
 import uuid
@@ -63,6 +64,32 @@ def ranked(df: DataFrame, keys: list[str], order: list[str], salts: int = 64, ou
     )
 
 
+def checked(df: DataFrame, rows: int) -> DataFrame:
+    """df (written, so that counting is cheap) as a broadcast side while it has at most `rows` rows, else as it is."""
+    return F.broadcast(df) if df.count() <= rows else df
+
+
+def block_masks(count: int, radius: int, bits: int = 64, bucket: int = 256) -> list[int]:
+    """Bit masks of which at least one covers no differing bit of two words within `radius` bits (pigeonhole).
+
+    The word is cut into radius + p blocks and each choice of p of them is a mask; p is the smallest for which
+    `count` evenly spread words leave at most `bucket` to a masked value. Masks are signed longs.
+    """
+    for pick in range(1, 5):
+        blocks = radius + pick
+        cuts = [bits * i // blocks for i in range(blocks + 1)]
+        if count <= bucket << (bits * pick // blocks):
+            break
+    parts = [((1 << b) - 1) ^ ((1 << a) - 1) for a, b in itertools.pairwise(cuts)]
+    masks = [sum(chosen) for chosen in itertools.combinations(parts, pick)]
+    return [m - (1 << 64) if m >> 63 else m for m in masks]
+
+
+def masked(fp: str, masks: list[int]):
+    """Array of the (mask number, masked value) of column fp."""
+    return F.array(*[F.struct(F.lit(i).alias("band"), F.col(fp).bitwiseAND(F.lit(m)).alias("value")) for i, m in enumerate(masks)])
+
+
 def _digest(edges: DataFrame):
     row = edges.agg(
         F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))

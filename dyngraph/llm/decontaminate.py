@@ -12,7 +12,8 @@ import math
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import Window
+
+from dyngraph.llm.common import checked, written
 
 SHINGLE = 5
 CONTAINMENT = 0.8
@@ -70,12 +71,13 @@ def contaminated(docs: DataFrame, items: DataFrame, n: int = SHINGLE, threshold:
     ws = texts.select("doc_id", words(F.col("text")).alias("w"))
     held = ws.select("doc_id", F.explode(F.array_distinct(F.concat(*[hashed_shingles(F.col("w"), k) for k in sizes]))).alias("hash"))
     keys = sketch.select("hash", "item_id")
-    pairs = held.join(F.broadcast(keys) if small else keys, "hash").select("doc_id", "item_id").distinct()
+    pairs = written(held.join(F.broadcast(keys) if small else keys, "hash").select("doc_id", "item_id").distinct(), "candidates")
     asked = items.where(F.col("item_id").isNotNull()).select("item_id", words(F.col("text")).alias("iw"))
     asked = asked.select("item_id", F.least(F.size("iw"), F.lit(n)).alias("len"), "iw").where("len > 0")
     asked = asked.select("item_id", "len", shingles(F.col("iw"), F.col("len")).alias("parts"))
     wanted = pairs.join(F.broadcast(asked) if small else asked, "item_id").groupBy("doc_id").agg(F.collect_list(F.struct("item_id", "len", "parts")).alias("wanted"))
-    both = texts.join(wanted, "doc_id").select("doc_id", words(F.col("text")).alias("w"), "wanted")
+    named = checked(pairs.select("doc_id").distinct(), BROADCAST_ROWS)
+    both = texts.join(named, "doc_id", "left_semi").join(wanted, "doc_id").select("doc_id", words(F.col("text")).alias("w"), "wanted")
     # the text's shingles are made once for each length and row, not once for each candidate
     for k in sizes:
         both = both.withColumn(f"held_{k}", shingles(F.col("w"), k))

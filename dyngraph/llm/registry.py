@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dyngraph.llm import decontaminate, quality_ftrl, shard_ring, simhash_tiles, string_kernel, term_topk, vector_packing
+from dyngraph.llm import decontaminate, fuzzy_lines, quality_ftrl, shard_ring, simhash_tiles, string_kernel, term_topk, vector_packing
 from dyngraph.llm.common import table
 
 
@@ -34,8 +34,12 @@ def op9_topk(spark, sf_dir):
     return term_topk.top_k(table(spark, sf_dir, "embeddings"))
 
 
+def op10_lines(spark, sf_dir):
+    return fuzzy_lines.decisions(table(spark, sf_dir, "documents"))
+
+
 def queries():
-    return {f.__name__: f for f in (op1_hash_ring, op2_decontamination, op3_quality, op5_simhash, op7_packing, op8_language, op9_topk)}
+    return {f.__name__: f for f in (op1_hash_ring, op2_decontamination, op3_quality, op5_simhash, op7_packing, op8_language, op9_topk, op10_lines)}
 
 
 def oracle_sql():

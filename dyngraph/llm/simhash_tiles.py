@@ -1,7 +1,7 @@
 """SimHash near-duplicates by tiled exact comparison.
 
-Distinct fingerprints are laid out in buckets by each of four 16-bit bands (fingerprints within three bits agree in
-one band at least), sorted by population count and cut into tiles of bounded size. Tile pairs of a bucket whose
+Distinct fingerprints are laid out in buckets by each of some masked values (two fingerprints within the radius agree
+in one of them at least), sorted by population count and cut into tiles of bounded size. Tile pairs of a bucket whose
 population counts lie further apart than the radius are never formed; the others are compared in full with
 exclusive-or and bit counts, and hand on a spanning forest of the links they find.
 """
@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from dyngraph.llm.common import components, written
+from dyngraph.llm.common import block_masks, components, masked, written
 
 SHINGLE = 3
 RADIUS = 3
@@ -98,10 +98,8 @@ def _compare(radius: int):
 
 def links(prints: DataFrame, radius: int = RADIUS, tile: int = TILE) -> DataFrame:
     """Links (u, v) that connect all fingerprints (column fp, distinct) as the full set of pairs within the radius does."""
-    bands = radius + 1
-    width = 64 // bands
-    each = [F.struct(F.lit(b).alias("band"), F.shiftrightunsigned("fp", b * width).bitwiseAND((1 << width) - 1).alias("value")) for b in range(bands)]
-    rows = prints.select("fp", F.bit_count("fp").alias("ones"), F.explode(F.array(*each)).alias("k")).select("fp", "ones", "k.*")
+    masks = block_masks(prints.count(), radius)
+    rows = prints.select("fp", F.bit_count("fp").alias("ones"), F.explode(masked("fp", masks)).alias("k")).select("fp", "ones", "k.*")
     place = Window.partitionBy("band", "value").orderBy("ones", "fp")
     rows = rows.withColumn("tile", F.floor((F.row_number().over(place) - 1) / tile).cast("long"))
     tiles = rows.groupBy("band", "value", "tile").agg(F.collect_list("fp").alias("fps"), F.min("ones").alias("low"), F.max("ones").alias("high"))
@@ -120,7 +118,7 @@ def near_duplicates(docs: DataFrame, words: int = SHINGLE, radius: int = RADIUS,
     other. Repeated rows keep their rows; a null doc_id is never a component's id unless all of its are null.
     """
     rows = written(fingerprints(docs, words), "fingerprints")
-    least = rows.groupBy("fp").agg(F.min("doc_id").alias("least"))
+    least = written(rows.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct")
     roots = components(links(least.select("fp"), radius, tile), "simhash")
     joined = least.join(roots, least["fp"] == roots["node"], "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     ids = joined.groupBy("root").agg(F.min("least").alias("component_id"))
