@@ -38,8 +38,14 @@ def op10_lines(spark, sf_dir):
     return fuzzy_lines.decisions(table(spark, sf_dir, "documents"))
 
 
+def pipeline(spark, sf_dir):
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries():
-    return {f.__name__: f for f in (op1_hash_ring, op2_decontamination, op3_quality, op5_simhash, op7_packing, op8_language, op9_topk, op10_lines)}
+    return {f.__name__: f for f in (op1_hash_ring, op2_decontamination, op3_quality, op5_simhash, op7_packing, op8_language, op9_topk, op10_lines, pipeline)}
 
 
 def oracle_sql():
