@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dyngraph.llm import brown_lm, decontaminate, fuzzy_lines, quality_ftrl, shard_ring, simhash_tiles, string_kernel, term_topk, vector_packing
+from dyngraph.llm import brown_lm, column_bwt, decontaminate, fuzzy_lines, quality_ftrl, shard_ring, simhash_tiles, string_kernel, term_topk, vector_packing
 from dyngraph.llm.common import table
 
 
@@ -26,6 +26,10 @@ def op5_simhash(spark, sf_dir):
     return simhash_tiles.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op6_passages(spark, sf_dir):
+    return column_bwt.report(table(spark, sf_dir, "documents"))
+
+
 def op7_packing(spark, sf_dir):
     return vector_packing.pack_documents(table(spark, sf_dir, "documents"))
 
@@ -49,7 +53,7 @@ def pipeline(spark, sf_dir):
 
 
 def queries():
-    return {f.__name__: f for f in (op1_hash_ring, op2_decontamination, op3_quality, op4_brown_lm, op5_simhash, op7_packing, op8_language, op9_topk, op10_lines, pipeline)}
+    return {f.__name__: f for f in (op1_hash_ring, op2_decontamination, op3_quality, op4_brown_lm, op5_simhash, op6_passages, op7_packing, op8_language, op9_topk, op10_lines, pipeline)}
 
 
 def oracle_sql():
