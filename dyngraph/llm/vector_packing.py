@@ -20,7 +20,7 @@ from dyngraph.llm.common import ranked, written
 
 MAX_TOKENS = 4096
 MAX_DOCS = 4096
-CACHE_WORDS = 400_000
+CACHE_WORDS = 1_000_000
 _PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 _state: dict = {}
 
@@ -37,14 +37,19 @@ def _encoder(path: str):
     return _state["model"], _state["words"]
 
 
+def _plain(text: bytes) -> bytes:
+    """A-Z in lower case, as the vocabulary's normaliser has it, so that fewer words differ; a special token's string stays as it is."""
+    return text if b"<|" in text else text.lower()
+
+
 def token_bytes(texts: list[str], path: str) -> list[bytes]:
     """The ids of each text, 4 bytes each; equal to encoding the whole text, as no token spans white space."""
     model, words = _encoder(path)
-    split = [t.encode("utf-8", "replace").split() for t in texts]
-    new = list({w for ws in split for w in ws if w not in words})
+    split = [_plain(t.encode("utf-8", "replace")).split() for t in texts]
+    new = list(set().union(*split).difference(words))
     if len(words) + len(new) > CACHE_WORDS:
         words.clear()
-        new = list({w for ws in split for w in ws})
+        new = list(set().union(*split))
     many = getattr(model, "encode_batch_fast", model.encode_batch)
     for lo in range(0, len(new), 4096):
         part = new[lo : lo + 4096]
