@@ -70,6 +70,14 @@ def ranked(df: DataFrame, keys: list[str], order: list[str], salts: int = 64, ou
     )
 
 
+def free_name(df: DataFrame, name: str) -> str:
+    """name, with underscores behind it until df has no such column."""
+    have = {c.lower() for c in df.columns}
+    while name.lower() in have:
+        name += "_"
+    return name
+
+
 def checked(df: DataFrame, rows: int) -> DataFrame:
     """df (written, so that counting is cheap) as a broadcast side while it has at most `rows` rows, else as it is."""
     return F.broadcast(df) if df.count() <= rows else df

@@ -41,7 +41,10 @@ def presence(text: str | None) -> np.ndarray | None:
     """Flags of the hashed n-grams that occur in the whole text; None where no letter does."""
     fold = _folding()
     u = np.frombuffer((text or "").encode("utf-32-le", "replace"), np.uint32)
-    c = np.where(u < 1 << 16, fold[u & 0xFFFF], u)
+    c = fold[np.minimum(u, 0xFFFF)]
+    if len(u) and u.max() >= 1 << 16:  # beyond the table: letters only
+        for x in np.unique(u[u >= 1 << 16]).tolist():
+            c = np.where(u == x, x if chr(x).isalpha() else 0, c)
     c = c[(c != 0) | np.append(True, c[:-1] != 0)] if len(c) else c
     if not c.any():
         return None
