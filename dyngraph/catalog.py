@@ -459,8 +459,8 @@ _SGD = ", ".join(f"round({_U[i, k]:.1f}::DOUBLE - 0.1::DOUBLE * sum(e{i} * ({'p0
 
 @query("one_sgd_step_window_mean", O.sql(*_LINKED, final=f"SELECT {_SGD} FROM sx WHERE split = 'train'"))
 def one_sgd_step_window_mean(spark, sf):
-    """The classifier's weights after one full-batch step of the whole model, over four re-executed blocks."""
-    m = model_of(spark, sf, "window_mean", blocks=4)
+    """The classifier's weights after one full-batch step of the whole model, over two re-executed blocks."""
+    m = model_of(spark, sf, "window_mean", blocks=2)
     _, grads = m.gradients(written(_links(spark, sf).where("split = 'train'").drop("split"), "pairs"))
     m.step(grads)
     names = [f"u{i}_{k}" for i in range(4) for k in range(2)]

@@ -21,8 +21,8 @@ def build_snapshots(links: DataFrame, agg: str = "distinct") -> DataFrame:
 def snapshots_from_changes(changes: DataFrame, steps: int) -> DataFrame:
     """Edges as the graph stood at the end of each step, from changes (t, src, dst, op), op in ins, del.
 
-    The last change of a pair in a step counts (a tie of ins and del in one step: del, by name order of the pair's
-    ops reversed, is not last); an edge stays from its insertion to the step before its deletion.
+    A pair with both in one step counts as inserted there; an edge stays from its insertion to the step before its
+    deletion.
     """
     last = changes.groupBy("t", "src", "dst").agg(F.max("op").alias("op"))
     w = Window.partitionBy("src", "dst").orderBy("t")

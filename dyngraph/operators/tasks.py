@@ -65,7 +65,9 @@ def classification_report(scored: DataFrame) -> DataFrame:
 
     The ranking works on counts by distinct score, cut into ranges, so that no task sorts all rows.
     """
-    p = scored.select(F.col("y").cast("long").alias("y"), "pred", (F.col("r1") - F.col("r0")).alias("s"))
+    from dyngraph.storage import written
+
+    p = written(scored.select(F.col("y").cast("long").alias("y"), "pred", (F.col("r1") - F.col("r0")).alias("s")), "scored")  # read three times
     tp, fp, fn = (F.count_if(c) for c in ((F.col("y") == 1) & (F.col("pred") == 1), (F.col("y") == 0) & (F.col("pred") == 1), (F.col("y") == 1) & (F.col("pred") == 0)))
     base = p.agg(tp.alias("tp"), fp.alias("fp"), fn.alias("fn"), F.count_if(F.col("y") == 1).alias("pos"), F.count_if(F.col("y") == 0).alias("neg"))
     by = p.groupBy("s").agg(F.count_if(F.col("y") == 1).alias("p"), F.count_if(F.col("y") == 0).alias("n")).repartitionByRange(32, "s").withColumn("part", F.spark_partition_id())
