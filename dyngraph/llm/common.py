@@ -3,54 +3,18 @@
 from __future__ import annotations
 
 import itertools
-import os
-import tempfile
-import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
-_OWN: dict[str, list[str]] = {}
+from dyngraph.storage import release, shared_dir, written  # noqa: F401  the operators take them from here
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir; a temporary one only where that is unset."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
-    if not base:
-        base = os.environ.setdefault("DYNGRAPH_TEST_SHARED", tempfile.mkdtemp(prefix="dyngraph-"))
-    return base.rstrip("/")
-
-
-def written(df: DataFrame, tag: str) -> DataFrame:
-    """df written as Parquet to the shared folder and read again: cuts lineage, fixes row contents, survives lost executors."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
-    was = spark.conf.get(_CLEANUP, "false")
-    spark.conf.set(_CLEANUP, "true")  # the shuffle files of this write serve nothing later
-    try:
-        df.write.parquet(path)
-    finally:
-        spark.conf.set(_CLEANUP, was)
-    _OWN.setdefault(spark.sparkContext.applicationId, []).append(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def release(spark: SparkSession, keep: int = 0) -> None:
-    """Deletes what written() has left, but for the newest `keep` tables; call once results have been consumed."""
-    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
-    own = _OWN.get(spark.sparkContext.applicationId, [])
-    drop, own[:] = (own[:-keep], own[-keep:]) if keep else (own[:], [])
-    for path in drop:
-        p = jvm.org.apache.hadoop.fs.Path(path)
-        p.getFileSystem(conf).delete(p, True)
-
-
 def ranked(df: DataFrame, keys: list[str], order: list[str], salts: int = 64, out: str = "rank") -> DataFrame:
     """Adds a gapless 0-based rank within keys.
 
