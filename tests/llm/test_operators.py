@@ -456,7 +456,7 @@ def slow_lines(rows, radius=3, similarity=0.8):
         first.setdefault(norm, (d, i))
 
     def bits(norm):
-        hs = [xxhash.xxh64_intdigest(w.encode(), 42) for w in norm.split(" ")]
+        hs = [xxhash.xxh64_intdigest(w.encode(), 42) for w in set(norm.split(" "))]
         return sum(1 << b for b in range(64) if 2 * sum(h >> b & 1 for h in hs) > len(hs))
 
     def distance(a, b):
