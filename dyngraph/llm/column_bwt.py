@@ -26,10 +26,10 @@ from dyngraph.llm.common import written
 
 LENGTH = 50
 GRAM = 24
-CHUNK = 1 << 20
-FLUSH = 1_000_000
-BUCKET_ANCHORS = 500_000
-BUCKET_PIECES = 40_000
+CHUNK = 1 << 18
+FLUSH = 700_000
+BUCKET_ANCHORS = 400_000
+BUCKET_PIECES = 12_000
 _M1, _M2, _M3 = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB))
 _span = np.dtype([("key", "<u8"), ("span", "<u8"), ("doc", "<i8"), ("text", "<i8"), ("at", "<i8"), ("n", "<i4")])
 _run = np.dtype([("doc", "<i8"), ("text", "<i8"), ("at", "<i8"), ("n", "<i4")])
@@ -80,6 +80,33 @@ def spans(data: bytes, length: int = LENGTH, gram: int = GRAM):
     return tuple(map(np.concatenate, zip(*parts)))
 
 
+#: Column, its bytes, and those that are sent; as planes of single bytes, which compress well.
+_PLANES = (("key", 8, 5), ("span", 8, 8), ("doc", 8, 8), ("text", 8, 4), ("at", 8, 5), ("n", 4, 1))
+
+
+def _pack(rows: np.ndarray) -> bytes:
+    """Spans of one bucket. 40 bits of the key tell anchors of a bucket apart; two that fall together are compared like any others.
+
+    Of the text's key 32 bits go along: they tell texts of one doc_id apart.
+    """
+    out = []
+    for c, size, sent in _PLANES:
+        x = np.ascontiguousarray(rows[c] >> np.uint64(24) if c == "key" else rows[c])
+        out.append(x.view(np.uint8).reshape(-1, size)[:, :sent].T.tobytes())
+    return b"".join(out)
+
+
+def _unpack(blob: bytes) -> np.ndarray:
+    n = len(blob) // sum(p[2] for p in _PLANES)
+    rows, at = np.zeros(n, _span), 0
+    for c, size, sent in _PLANES:
+        x = np.zeros((n, size), np.uint8)
+        x[:, :sent] = np.frombuffer(blob, np.uint8, n * sent, at).reshape(sent, n).T
+        rows[c] = x.view(_span[c])[:, 0]
+        at += n * sent
+    return rows
+
+
 def _least(rows: np.ndarray):
     """Rows sorted by (key, span, doc), and for each the smallest doc of its span."""
     rows = rows[np.lexsort((rows["doc"], rows["span"], rows["key"]))]
@@ -122,7 +149,7 @@ def _mapper(length: int, buckets: int):
                 ends = np.append(cuts[1:], len(data))
                 for lo in range(0, len(cuts), 64):
                     ids = [int(bucket[c]) for c in cuts[lo : lo + 64]]
-                    blobs = [data[a:b].tobytes() for a, b in zip(cuts[lo : lo + 64], ends[lo : lo + 64])]
+                    blobs = [_pack(data[a:b]) if name == "spans" else data[a:b].tobytes() for a, b in zip(cuts[lo : lo + 64], ends[lo : lo + 64])]
                     none = [None] * len(ids)
                     yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int32()), pa.array(blobs if name == "spans" else none, pa.binary()), pa.array(blobs if name == "runs" else none, pa.binary())], names=["bucket", "spans", "runs"])
 
@@ -151,9 +178,9 @@ def _rows(ask: bool, key, rows) -> pa.Table:
 
 def _settle(table: pa.Table) -> pa.Table:
     """One bucket: runs of settled passages, and the spans whose strings have to be compared (ask)."""
-    get = lambda c, kind: np.frombuffer(b"".join(x for x in table.column(c).to_pylist() if x), kind)
-    rows, least, _ = _least(get("spans", _span))
-    runs = np.concatenate([get("runs", _run), _runs_of(rows[rows["doc"] > least])])
+    blobs = lambda c: [x for x in table.column(c).to_pylist() if x]
+    rows, least, _ = _least(np.concatenate([np.zeros(0, _span), *map(_unpack, blobs("spans"))]))
+    runs = np.concatenate([np.frombuffer(b"".join(blobs("runs")), _run), _runs_of(rows[rows["doc"] > least])])
     rows = rows[rows["doc"] == least]
     ask = rows[:0]
     if len(rows):
@@ -226,9 +253,9 @@ def equal_passages(pieces: list[bytes], length: int) -> tuple[np.ndarray, np.nda
     begin = np.concatenate([[0], np.cumsum(size)[:-1]])
     at = begin[piece] + start
     new = np.ones(len(at), bool)
-    for lo in range(1, len(at), 100_000):  # neighbours' common prefixes
-        a, b = at[lo - 1 : lo + 99_999][: len(at) - lo], at[lo : lo + 100_000]
-        new[lo : lo + 100_000] = (flat[a[:, None] + np.arange(length)] != flat[b[:, None] + np.arange(length)]).any(1)
+    for lo in range(1, len(at), 20_000):  # neighbours' common prefixes
+        a, b = at[lo - 1 : lo + 19_999][: len(at) - lo], at[lo : lo + 20_000]
+        new[lo : lo + 20_000] = (flat[a[:, None] + np.arange(length)] != flat[b[:, None] + np.arange(length)]).any(1)
     return piece, start, np.cumsum(new) - 1
 
 
@@ -286,9 +313,13 @@ def _cleaner(length: int):
     return clean
 
 
+def text_key(text: str):
+    return F.xxhash64(text).bitwiseAND(F.lit(0xFFFFFFFF))
+
+
 def removal_runs(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     """(doc_id, text_key, at, n): runs of n passage starts that also start in a document with a smaller doc_id."""
-    texts = docs.where(F.col("doc_id").isNotNull() & (F.octet_length("text") >= length)).select("doc_id", F.xxhash64("text").alias("text_key"), "text")
+    texts = docs.where(F.col("doc_id").isNotNull() & (F.octet_length("text") >= length)).select("doc_id", text_key("text").alias("text_key"), "text")
     total = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
     anchors = 2 * total / (length - GRAM + 2)
     buckets = max(8, int(anchors / BUCKET_ANCHORS) + 1)
@@ -309,7 +340,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     loses bytes nor takes any.
     """
     runs = removal_runs(docs, length).groupBy("doc_id", "text_key").agg(F.collect_list(F.struct("at", "n")).alias("runs"))
-    rows = docs.select("doc_id", F.xxhash64("text").alias("text_key"), "text").join(runs, ["doc_id", "text_key"], "left")
+    rows = docs.select("doc_id", text_key("text").alias("text_key"), "text").join(runs, ["doc_id", "text_key"], "left")
     return rows.mapInArrow(_cleaner(length), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
 
 
