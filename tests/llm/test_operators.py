@@ -3,6 +3,7 @@
 import collections
 import hashlib
 import math
+import random
 import re
 import zlib
 
@@ -520,3 +521,48 @@ def test_native_plans(docs, spark):
     bench = spark.createDataFrame([(1, "a b c d e f")], "item_id long, text string")
     for df in (decontaminate.contaminated(docs, bench), fuzzy_lines.decisions(docs)):
         assert not re.search("Python|Arrow|Pandas", df._jdf.queryExecution().executedPlan().toString())
+
+
+def edit_similarity(a, b):
+    row = np.arange(len(b) + 1)
+    for i, c in enumerate(a, 1):
+        best = np.minimum(row[1:] + 1, row[:-1] + np.array([c != e for e in b], int))
+        row = np.minimum.accumulate(np.concatenate([[i], best]) - np.arange(len(b) + 1)) + np.arange(len(b) + 1)
+    return 1 - row[-1] / max(len(a), len(b), 1)
+
+
+def test_similar_lines_are_found(spark):
+    """Letters changed in lines of many lengths, of one word or in a script without spaces too."""
+    rng = random.Random(8)
+    word = lambda n, of="abcdefghijklmnoprstu": "".join(rng.choice(of) for _ in range(n))
+    bases = [word(n) for n in range(5, 60)] + [word(n, "".join(map(chr, range(0x4E00, 0x5000)))) for n in range(12, 40)]
+    bases += [" ".join(word(rng.randint(2, 9)) for _ in range(n)) for n in range(2, 40) for _ in range(3)]
+    pairs = []
+    for base in bases:
+        for share in (0, 0.07):  # one letter, or seven of a hundred
+            out = list(base)
+            letters = [i for i, c in enumerate(out) if c != " "]
+            for i in rng.sample(letters, max(1, int(len(out) * share))):
+                out[i] = "z"
+            pairs.append((base, "".join(out), share))
+    rows = [(i, a) for i, (a, _, _) in enumerate(pairs)] + [(10000 + i, b) for i, (_, b, _) in enumerate(pairs)]
+    gone = {r["doc_id"] for r in fuzzy_lines.decisions(spark.createDataFrame(rows, "doc_id long, text string")).where("n_removed > 0").collect()}
+    assert all(edit_similarity(a, b) >= 0.8 for a, b, _ in pairs)
+    found = lambda share: [10000 + i in gone for i, p in enumerate(pairs) if p[2] == share]
+    assert all(10000 + i in gone for i, p in enumerate(pairs) if len(p[0]) <= 14)
+    assert np.mean(found(0)) >= 0.98 and np.mean(found(0.07)) >= 0.9
+
+
+def test_no_other_lines_are_linked(spark):
+    rng = random.Random(9)
+    word = lambda n: "".join(rng.choice("abcd") for _ in range(n))
+    names = sorted({word(rng.randint(2, 9)) for _ in range(80)} | {word(5) + " " + word(rng.randint(4, 8)) for _ in range(60)})
+    got = {r["doc_id"] for r in fuzzy_lines.decisions(spark.createDataFrame(list(enumerate(names)), "doc_id long, text string")).where("n_removed > 0").collect()}
+    root = list(range(len(names)))
+    for i, a in enumerate(names):
+        for j in range(i):
+            if edit_similarity(a, names[j]) >= 0.8 - 1e-9:
+                x, y = sorted((root[i], root[j]))
+                root = [x if r == y else r for r in root]
+    expect = {i for i in range(len(names)) if root[i] != i}
+    assert got <= expect and {i for i in expect if len(names[i]) <= 11} <= got
