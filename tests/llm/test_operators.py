@@ -566,3 +566,11 @@ def test_no_other_lines_are_linked(spark):
                 root = [x if r == y else r for r in root]
     expect = {i for i in range(len(names)) if root[i] != i}
     assert got <= expect and {i for i in expect if len(names[i]) <= 11} <= got
+
+
+def test_lines_of_repeated_words(spark):
+    """Repeats count, so that lines that differ in a rare word beside a frequent one stay alike."""
+    pairs = [("no no no no no yes", "no no no no no yep"), ("la " * 40 + "one two three", "la " * 40 + "one two tree")]
+    rows = [(10 * j + i, line) for i, p in enumerate(pairs) for j, line in enumerate(p)]
+    got = {r["doc_id"] for r in fuzzy_lines.decisions(spark.createDataFrame(rows, "doc_id long, text string")).where("n_removed > 0").collect()}
+    assert got == {10, 11}
