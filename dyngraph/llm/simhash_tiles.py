@@ -124,3 +124,67 @@ def near_duplicates(docs: DataFrame, words: int = SHINGLE, radius: int = RADIUS,
     ids = joined.groupBy("root").agg(F.min("least").alias("component_id"))
     named = joined.join(ids, "root").select("fp", "component_id")
     return rows.join(named, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+
+
+#: MinHash bands of similar_documents: 24 of five find 0.9999 of the pairs at Jaccard 0.8 (each minimum taken as independent).
+BANDS, BAND_ROWS = 24, 5
+_FACTORS = np.random.default_rng(5).integers(0, 1 << 63, BANDS * BAND_ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+
+
+def shingles(text: str | None, words: int) -> np.ndarray:
+    """Sorted distinct hashes of the word shingles; of the whole text if it has fewer words, none if it has no word."""
+    parts = (text or "").encode("utf-8", "replace").lower().split()
+    runs = {b" ".join(parts[i : i + words]) for i in range(max(len(parts) - words + 1, 1))} if parts else ()
+    return np.unique(np.array([xxhash.xxh64_intdigest(x, 42) for x in runs], np.uint64))
+
+
+def _bands(h: np.ndarray) -> list[int]:
+    if not len(h):
+        return []
+    least = np.array([(h * f).min() for f in _FACTORS], np.uint64).reshape(BANDS, BAND_ROWS)
+    return [xxhash.xxh64_intdigest(row.tobytes(), i) for i, row in enumerate(least)]
+
+
+def _shingler(words: int):
+    longs = lambda rows: pa.array([np.array(r, np.uint64).view(np.int64) for r in rows], pa.list_(pa.int64()))
+
+    def shingle(batches):
+        for b in batches:
+            sets = [shingles(t, words) for t in b.column("text").to_pylist()]
+            same = pa.array([xxhash.xxh128_digest(h.tobytes()) for h in sets], pa.binary())
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), same, longs(sets), longs([_bands(h) for h in sets])], names=["doc_id", "same", "parts", "keys"])
+
+    return shingle
+
+
+def similar_documents(docs: DataFrame, words: int = 5, similarity: float = 0.8) -> DataFrame:
+    """(doc_id, component_id) for each row: components of the documents whose sets of word shingles have that Jaccard similarity.
+
+    Candidates share a MinHash band, the sets decide. Each bucket's rows are compared with one of them, another in each
+    band, and then all pairs that these links leave in different groups. Texts without words are alike.
+    """
+    rows = written(docs.select("doc_id", "text").mapInArrow(_shingler(words), "doc_id long, same binary, parts array<long>, keys array<long>"), "shingles")
+    sets = rows.groupBy("same").agg(F.min("doc_id").alias("least"), F.first("parts").alias("parts"), F.first("keys").alias("keys"))
+    sets = written(sets.select(F.monotonically_increasing_id().alias("id"), "*"), "shingle-sets")
+    size = F.size("parts").alias("size")
+    spread = sets.select("id", size, F.explode("keys").alias("key"))
+
+    def verified(pairs: DataFrame) -> DataFrame:
+        side = lambda i, a: sets.select(F.col("id").alias(i), F.col("parts").alias(a))
+        both = pairs.distinct().join(side("u", "a"), "u").join(side("v", "b"), "v").withColumn("common", F.size(F.array_intersect("a", "b")))
+        return both.where(F.col("common") + 1e-9 >= similarity * (F.size("a") + F.size("b") - F.col("common"))).select("u", "v")
+
+    close = lambda a, b: F.least(a, b) + 1e-9 >= similarity * F.greatest(a, b)
+    lead = spread.groupBy("key").agg(F.min_by(F.struct("id", "size"), F.xxhash64("id", "key")).alias("l"), F.count(F.lit(1)).alias("n")).where("n > 1")
+    lead = lead.select("key", F.col("l.id").alias("v"), F.col("l.size").alias("other"))
+    stars = spread.withColumnRenamed("id", "u").join(lead, "key").where((F.col("u") != F.col("v")) & close(F.col("size"), F.col("other")))
+    stars = written(verified(stars.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))), "document-stars")
+    rooted = spread.join(components(stars, "documents").withColumnRenamed("node", "id"), "id", "left").withColumn("root", F.coalesce("root", "id"))
+    mixed = rooted.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("key")
+    rooted = written(rooted.join(mixed, "key", "left_semi"), "document-buckets")
+    other = rooted.select("key", F.col("id").alias("v"), F.col("size").alias("other"), F.col("root").alias("o_root"))
+    more = rooted.withColumnRenamed("id", "u").join(other, "key").where((F.col("root") != F.col("o_root")) & (F.col("u") > F.col("v")) & close(F.col("size"), F.col("other")))
+    roots = components(stars.unionByName(verified(more.select("u", "v"))), "documents")
+    joined = sets.select("id", "same", "least").join(roots.withColumnRenamed("node", "id"), "id", "left").withColumn("root", F.coalesce("root", "id"))
+    ids = joined.groupBy("root").agg(F.min("least").alias("component_id"))
+    return rows.select("doc_id", "same").join(joined.join(ids, "root").select("same", "component_id"), "same").select("doc_id", "component_id")

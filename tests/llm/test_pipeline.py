@@ -1,6 +1,7 @@
 """The pipeline's stages, each against what its operator alone says, and the whole run."""
 
 import collections
+import random
 
 import corpus_pipeline
 from dyngraph.llm import registry
@@ -35,3 +36,29 @@ def test_run_and_registry(spark, sf):
     assert out.count() > 0 and out.agg(F.max(F.col("offset") + F.col("length"))).first()[0] <= 4096
     names = registry.queries()
     assert {f"op{i}" for i in range(1, 11)} == {n.split("_")[0] for n in names if n.startswith("op")} and "pipeline" in names
+
+
+def test_near_copies_go(spark):
+    """Planted copies with single words altered, and unlike documents, against exact Jaccard similarity of all pairs."""
+    rng = random.Random(12)
+    vocabulary = ["".join(rng.choice("abcdefghij") for _ in range(rng.randint(2, 8))) for _ in range(900)]
+    texts = [[rng.choice(vocabulary) for _ in range(rng.choice((3, 8, 200, 300, 400)))] for _ in range(60)]
+    for words in texts[:60]:
+        copy = list(words)
+        for _ in range(rng.randint(1, 5)):
+            copy[rng.randrange(len(copy))] = "altered"
+        texts.append(copy)
+    texts += [[], [], texts[0]]
+    rows = [(i, " ".join(w)) for i, w in enumerate(texts)] + [(9000, None), (None, "no id")]
+    sets = [{tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set() for w in [*texts, []]]
+    ids = [i for i, _ in rows[:-1]]
+    root = list(range(len(sets)))
+    for i, a in enumerate(sets):
+        for j in range(i):
+            if len(a & sets[j]) >= 0.8 * len(a | sets[j]):
+                x, y = sorted((root[i], root[j]))
+                root = [x if r == y else r for r in root]
+    expect = {ids[i] for i in range(len(sets)) if root[i] == i} | {None}
+    assert sum(root[60 + i] == root[i] for i in range(60)) > 20
+    got = corpus_pipeline.drop_near_duplicates(spark, spark.createDataFrame(rows, "doc_id long, text string"), "")
+    assert {r["doc_id"] for r in got.collect()} == expect
