@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from dyngraph.storage import release, shared_dir, written  # noqa: F401  the operators take them from here
+from dyngraph.storage import release, scope, shared_dir, written  # noqa: F401  the operators take them from here
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
