@@ -1,10 +1,12 @@
-"""Written intermediates in the folder that driver and executors share."""
+"""Written intermediates in the folder that driver and executors share, and their release."""
 
 from __future__ import annotations
 
 import os
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -13,16 +15,20 @@ _OWN: dict[str, list[str]] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir; a temporary folder only where that is unset, as in tests."""
+    """spark.checkpoint.dir; where that is unset, a folder in the warehouse, which executors share too, or of a one-process master its temporary folder."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
-    if not base:
+    if not base and spark.sparkContext.master.split("[")[0] == "local":
         base = os.environ.setdefault("DYNGRAPH_TEST_SHARED", tempfile.mkdtemp(prefix="dyngraph-"))
-    return base.rstrip("/")
+    return (base or spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/written").rstrip("/")
+
+
+def _paths(spark: SparkSession) -> list[str]:
+    return _OWN.setdefault(spark.sparkContext.applicationId, [])
 
 
 def fresh_path(spark: SparkSession, tag: str) -> str:
     path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
-    _OWN.setdefault(spark.sparkContext.applicationId, []).append(path)
+    _paths(spark).append(path)
     return path
 
 
@@ -39,11 +45,46 @@ def written(df: DataFrame, tag: str, partition_by: list[str] | None = None) -> D
     return spark.read.schema(df.schema).parquet(path)
 
 
-def release(spark: SparkSession) -> None:
-    """Deletes what written() has left; call once results have been consumed."""
+def _delete(spark: SparkSession, paths: list[str]) -> None:
     jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
-    own = _OWN.get(spark.sparkContext.applicationId, [])
-    for path in own:
+    for path in paths:
         p = jvm.org.apache.hadoop.fs.Path(path)
         p.getFileSystem(conf).delete(p, True)
+
+
+class Scope:
+    """What was written since a scope began."""
+
+    def __init__(self) -> None:
+        self.kept: set[str] = set()
+
+    def keep(self, df: DataFrame, tag: str | None = None) -> DataFrame:
+        """df for use after the scope: the files that it reads stay; with a tag, it is written first, so that nothing else has to."""
+        df = df if tag is None else written(df, tag)
+        self.kept |= {f.split("://")[-1].removeprefix("file:").rsplit("/part-", 1)[0] for f in df.inputFiles()}
+        return df
+
+
+@contextmanager
+def scope(spark: SparkSession) -> Iterator[Scope]:
+    """Deletes at its end what was written inside and isn't kept; an outer scope takes over what is.
+
+    Results that leave the scope must be kept or collected before.
+    """
+    own, inside = _paths(spark), Scope()
+    before = set(own)
+    try:
+        yield inside
+    finally:
+        held = lambda path: any(path.split("://")[-1].removeprefix("file:") in k for k in inside.kept)
+        gone = [path for path in own if path not in before and not held(path)]
+        _delete(spark, gone)
+        dropped = set(gone)
+        own[:] = [path for path in own if path not in dropped]
+
+
+def release(spark: SparkSession) -> None:
+    """Deletes what written() has left; call once results have been consumed."""
+    own = _paths(spark)
+    _delete(spark, own)
     own.clear()
