@@ -19,12 +19,18 @@ def block_plan(spark: SparkSession, steps: int, blocks: int) -> DataFrame:
     return spark.range(blocks).select(b.alias("block"), (lo + 1).cast("long").alias("first"), hi.cast("long").alias("last"), (hi - lo).cast("long").alias("size"))
 
 
+def block_owner(t, steps: int, blocks: int, processors: int):
+    """Expressions (block, pid) of a step: contiguous balanced ranges of the processors inside each block."""
+    i = t - 1
+    b = F.floor(i * blocks / steps)
+    lo, hi = F.ceil(b * steps / blocks), F.ceil((b + 1) * steps / blocks)
+    return b.cast("long"), F.floor((i - lo) * processors / (hi - lo)).cast("long")
+
+
 def owner_in_block(spark: SparkSession, steps: int, blocks: int, processors: int) -> DataFrame:
     """(t, block, pid): every processor has a share of every block."""
-    t = F.col("id") - 1
-    b = F.floor(t * blocks / steps)
-    lo, hi = F.ceil(b * steps / blocks), F.ceil((b + 1) * steps / blocks)
-    return spark.range(1, steps + 1).select((t + 1).alias("t"), b.cast("long").alias("block"), F.floor((t - lo) * processors / (hi - lo)).cast("long").alias("pid"))
+    block, pid = block_owner(F.col("id"), steps, blocks, processors)
+    return spark.range(1, steps + 1).select(F.col("id").alias("t"), block.alias("block"), pid.alias("pid"))
 
 
 def memory_model(spark: SparkSession, nnz: int, n: int, steps: int, widths: int, carry: int, blocks: list[int], processors: list[int], index_bytes: int = 8, value_bytes: int = 4, budget: float | None = None) -> DataFrame:

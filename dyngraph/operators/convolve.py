@@ -29,21 +29,24 @@ def laplacian(g: DynamicGraph, degree: str = "count", how: str = "union") -> Dat
 
 
 def transposed(lap: DataFrame) -> DataFrame:
-    return lap.select("t", F.col("dst").alias("src"), F.col("src").alias("dst"), "a")
+    return lap.select(*[c for c in lap.columns if c == "home"], "t", F.col("dst").alias("src"), F.col("src").alias("dst"), "a")
 
 
 def aggregate_neighbors(lap: DataFrame, x: FeatureTensor, salts: int = 1) -> FeatureTensor:
     """Weighted sums of neighbour frames, the vertex itself included.
 
-    salts > 1 adds up hub rows in two steps, so that a vertex with a large part of a snapshot's edges is spread.
+    salts > 1 adds up hub rows in two steps, so that a vertex with a large part of a snapshot's edges is spread. If both
+    sides are laid out by home, which follows from t, the join and the sum stay inside it.
     """
-    joined = lap.join(x.df.withColumnRenamed("v", "dst"), ["t", "dst"])
+    place = ["home", "t"] if "home" in lap.columns and "home" in x.df.columns else ["t"]
+    lap = lap.select(*place, "src", "dst", "a")
+    joined = lap.join(x.df.select(*place, F.col("v").alias("dst"), *x.cols), [*place, "dst"])
     sums = [F.sum(F.col("a") * F.col(c)).alias(c) for c in x.cols]
     if salts > 1:
-        part = joined.groupBy("t", "src", F.pmod("dst", F.lit(salts)).alias("_s")).agg(*sums)
-        out = part.groupBy("t", "src").agg(*[F.sum(c).alias(c) for c in x.cols])
+        part = joined.groupBy(*place, "src", F.pmod("dst", F.lit(salts)).alias("_s")).agg(*sums)
+        out = part.groupBy(*place, "src").agg(*[F.sum(c).alias(c) for c in x.cols])
     else:
-        out = joined.groupBy("t", "src").agg(*sums)
+        out = joined.groupBy(*place, "src").agg(*sums)
     return FeatureTensor(out.withColumnRenamed("src", "v"), x.width, x.name)
 
 
@@ -58,12 +61,12 @@ def project(x: FeatureTensor, w: np.ndarray | dict[int, np.ndarray], out: str =
     Small matrices are literals of the expression. Per-step ones come as one row a step, broadcast (T rows).
     """
     if not isinstance(w, dict):
-        return FeatureTensor(x.df.select("t", "v", *[e.alias(f"{out}{j}") for j, e in enumerate(times(x.cols, w))]), w.shape[1], out)
+        return FeatureTensor(x.df.select(*x.keys, *[e.alias(f"{out}{j}") for j, e in enumerate(times(x.cols, w))]), w.shape[1], out)
     wide = next(iter(w.values())).shape[1]
     rows = [(int(t), [float(z) for z in m.ravel()]) for t, m in w.items()]
     table = x.df.sparkSession.createDataFrame(rows, "t long, w array<double>")
     dot = [sum((F.col(c) * F.get("w", F.lit(i * wide + j)) for i, c in enumerate(x.cols)), F.lit(0.0)) for j in range(wide)]
-    return FeatureTensor(x.df.join(F.broadcast(table), "t").select("t", "v", *[e.alias(f"{out}{j}") for j, e in enumerate(dot)]), wide, out)
+    return FeatureTensor(x.df.join(F.broadcast(table), "t").select(*x.keys, *[e.alias(f"{out}{j}") for j, e in enumerate(dot)]), wide, out)
 
 
 def activation(name: str):
@@ -78,7 +81,7 @@ def activation(name: str):
 
 def activate(x: FeatureTensor, name: str) -> FeatureTensor:
     f = activation(name)
-    return FeatureTensor(x.df.select("t", "v", *[f(F.col(c)).alias(c) for c in x.cols]), x.width, x.name)
+    return FeatureTensor(x.df.select(*x.keys, *[f(F.col(c)).alias(c) for c in x.cols]), x.width, x.name)
 
 
 def gcn_layer(lap: DataFrame, x: FeatureTensor, w, act: str = "relu", precomputed: FeatureTensor | None = None) -> FeatureTensor:

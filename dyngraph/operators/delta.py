@@ -73,12 +73,14 @@ def encode_full(g: DynamicGraph) -> tuple[DataFrame, DataFrame]:
     return g.edges.select("t", F.lit("full").alias("kind"), "src", "dst"), canonical_rank(g.edges).select("t", "pos", "w")
 
 
-def encode_delta(g: DynamicGraph, block: int | None = None, processors: int = 1, adaptive: bool = False) -> tuple[DataFrame, DataFrame]:
+def encode_delta(g: DynamicGraph, block: int | None = None, processors: int = 1, adaptive: bool = False, plan: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
     """(indices (t, kind, src, dst), values (t, pos, w)): full steps where a chunk starts, else pairs to add and to drop.
 
-    adaptive sends a step in full wherever that is no larger.
+    adaptive sends a step in full wherever that is no larger. plan: (t, whole) in place of chunks of equal length.
     """
-    if adaptive:
+    if plan is not None:
+        plan = plan.select("t", "whole")
+    elif adaptive:
         c = step_costs(g, block, processors)
         plan = c.select("t", (F.col("first") | (F.col("full_bytes") <= F.col("delta_bytes"))).alias("whole"))
     else:

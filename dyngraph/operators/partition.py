@@ -32,6 +32,22 @@ def by_snapshot(df: DataFrame, steps: int, processors: int) -> DataFrame:
     return df.withColumn("pid", snapshot_owner(F.col("t"), steps, processors)).repartitionById(processors, F.col("pid"))
 
 
+def homes(spark: SparkSession, processors: int) -> list[int]:
+    """For each processor the smallest key that hash partitioning into so many parts sends to its part."""
+    n = 16 * processors
+    while True:
+        part = F.pmod(F.hash("id"), F.lit(processors))
+        found = dict(spark.range(n).groupBy(part.alias("p")).agg(F.min("id")).collect())
+        if len(found) == processors:
+            return [found[p] for p in range(processors)]
+        n *= 2
+
+
+def home(pid, keys: list[int]):
+    """Key of a processor: rows hash-partitioned by it lie with the processor's other rows, in stored buckets as after an exchange."""
+    return F.element_at(F.array(*[F.lit(k).cast("long") for k in keys]), (pid + 1).cast("int"))
+
+
 def to_vertex_layout(y: FeatureTensor, owner: DataFrame, processors: int) -> DataFrame:
     """Frames split into vertex chunks, chunk q to processor q: one exchange of T * N rows."""
     return y.df.join(owner, "v").repartitionById(processors, F.col("q"))
@@ -103,6 +119,15 @@ def balance(placed: DataFrame, key: str, processors: int) -> DataFrame:
     return n.agg(F.max("n").alias("largest"), F.round(mean, 6).alias("mean"), F.round(F.max("n") / mean, 6).alias("ratio"))
 
 
+def _in_cells(df: DataFrame, keys: list[str], cells: int = 256) -> DataFrame:
+    """df with place, a gapless 0-based rank of v within keys: ranked in cells of hashes, shifted by the cells before."""
+    cut = df.withColumn("_c", F.pmod(F.xxhash64("v"), F.lit(cells)))
+    sizes = cut.groupBy(*keys, "_c").agg(F.count(F.lit(1)).alias("_n"))
+    shift = F.coalesce(F.sum("_n").over(Window.partitionBy(*keys).orderBy("_c").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    own = F.row_number().over(Window.partitionBy(*keys, "_c").orderBy("v")) - 1
+    return cut.withColumn("_r", own).join(sizes.withColumn("_s", shift).drop("_n"), [*keys, "_c"]).withColumn("place", F.col("_r") + F.col("_s")).drop("_c", "_r", "_s")
+
+
 def by_vertex_hypergraph(g: DynamicGraph, processors: int, eps: float = 0.05, rounds: int = 6, start: DataFrame | None = None) -> tuple[DataFrame, list[tuple[int, int]]]:
     """(owner (v, q), trace of (round, lambda)): balanced refinement of the owners, which lowers the frames shipped.
 
@@ -127,8 +152,13 @@ def by_vertex_hypergraph(g: DynamicGraph, processors: int, eps: float = 0.05, ro
         movers = gain.where((F.col("gain") > 0) & (F.pmod(F.xxhash64("u"), F.lit(2)) == r % 2))
         choice = movers.groupBy("u").agg(F.max_by(F.struct("q", "gain"), F.struct("gain", -F.col("q"))).alias("m")).select(F.col("u").alias("v"), "m.q", "m.gain")
         sizes = owner.groupBy("q").agg(F.count(F.lit(1)).alias("size"))
-        ranked = choice.join(sizes, "q", "left").withColumn("place", F.row_number().over(Window.partitionBy("q").orderBy(F.desc("gain"), "v")))
-        moved = ranked.where(F.col("place") + F.coalesce("size", F.lit(0)) <= room).select("v", F.col("q").alias("to"))
+        # movers are counted by gain and part; only the gain at which a part fills up is ranked, in cells of hashes
+        choice = written(choice, "movers")
+        counts = choice.groupBy("q", "gain").agg(F.count(F.lit(1)).alias("n"))
+        free = F.lit(room) - F.coalesce("size", F.lit(0)) - (F.sum("n").over(Window.partitionBy("q").orderBy(F.desc("gain"))) - F.col("n"))
+        counts = counts.join(sizes, "q", "left").select("q", "gain", "n", free.alias("free")).where("free > 0")
+        ranked = _in_cells(choice.join(counts, ["q", "gain"]), ["q", "gain"])
+        moved = ranked.where("place < free").select("v", F.col("q").alias("to"))
         new = written(owner.join(moved, "v", "left").select("v", F.coalesce("to", "q").alias("q")), "owner")
         now = total(new)
         if now < best:
@@ -143,10 +173,9 @@ def by_vertex_hypergraph(g: DynamicGraph, processors: int, eps: float = 0.05, ro
 
 def relabel(g: DynamicGraph, owner: DataFrame) -> tuple[DynamicGraph, DataFrame]:
     """The graph with ids that make each part one range, and the table (v, new_v)."""
-    inside = F.row_number().over(Window.partitionBy("q").orderBy("v")) - 1
     sizes = owner.groupBy("q").agg(F.count(F.lit(1)).alias("n"))
     before = sizes.withColumn("shift", F.coalesce(F.sum("n").over(Window.orderBy("q").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).select("q", "shift")
-    names = owner.withColumn("i", inside).join(F.broadcast(before), "q").select("v", (F.col("i") + F.col("shift")).cast("long").alias("new_v"))
+    names = _in_cells(owner, ["q"]).join(F.broadcast(before), "q").select("v", (F.col("place") + F.col("shift")).cast("long").alias("new_v"))
     a, b = names.select(F.col("v").alias("src"), F.col("new_v").alias("s")), names.select(F.col("v").alias("dst"), F.col("new_v").alias("d"))
     edges = g.edges.join(a, "src").join(b, "dst").select("t", F.col("s").alias("src"), F.col("d").alias("dst"), "w")
     return DynamicGraph(edges, names.select(F.col("new_v").alias("v")), g.T), names

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window
 
 from dyngraph.schema import DynamicGraph, FeatureTensor
+from dyngraph.storage import written
 
 
 def build_snapshots(links: DataFrame, agg: str = "distinct") -> DataFrame:
@@ -36,8 +37,11 @@ def vertex_index(edges: DataFrame) -> DataFrame:
 
 
 def dense_rank(vertices: DataFrame, parts: int = 64) -> DataFrame:
-    """(v, vid): 0-based rank in id order. Ranges are ranked apart and shifted by the sizes of the ranges before."""
-    ranged = vertices.repartitionByRange(parts, "v").withColumn("_p", F.spark_partition_id())
+    """(v, vid): 0-based rank in id order. Ranges are ranked apart and shifted by the sizes of the ranges before.
+
+    The ranges are written before they are counted and ranked: planned twice, they could get different bounds.
+    """
+    ranged = written(vertices.repartitionByRange(parts, "v").withColumn("_p", F.spark_partition_id()), "ranges")
     bounds = ranged.groupBy("_p").agg(F.min("v").alias("lo"), F.count(F.lit(1)).alias("n"))
     shift = bounds.withColumn("shift", F.coalesce(F.sum("n").over(Window.orderBy("lo").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).select("_p", "shift")
     own = Window.partitionBy("_p").orderBy("v")

@@ -63,14 +63,16 @@ def confusion(scored: DataFrame) -> DataFrame:
 def classification_report(scored: DataFrame) -> DataFrame:
     """One row for class 1: precision, recall, F1, and the area under the ranking by score difference.
 
-    The ranking works on counts by distinct score, cut into ranges, so that no task sorts all rows.
+    The ranking works on counts by distinct score, cut into ranges, so that no task sorts all rows. The ranges are
+    written before they are summed and ranked: planned twice, they could get different bounds.
     """
     from dyngraph.storage import written
 
     p = written(scored.select(F.col("y").cast("long").alias("y"), "pred", (F.col("r1") - F.col("r0")).alias("s")), "scored")  # read three times
     tp, fp, fn = (F.count_if(c) for c in ((F.col("y") == 1) & (F.col("pred") == 1), (F.col("y") == 0) & (F.col("pred") == 1), (F.col("y") == 1) & (F.col("pred") == 0)))
     base = p.agg(tp.alias("tp"), fp.alias("fp"), fn.alias("fn"), F.count_if(F.col("y") == 1).alias("pos"), F.count_if(F.col("y") == 0).alias("neg"))
-    by = p.groupBy("s").agg(F.count_if(F.col("y") == 1).alias("p"), F.count_if(F.col("y") == 0).alias("n")).repartitionByRange(32, "s").withColumn("part", F.spark_partition_id())
+    by = p.groupBy("s").agg(F.count_if(F.col("y") == 1).alias("p"), F.count_if(F.col("y") == 0).alias("n"))
+    by = written(by.repartitionByRange(32, "s").withColumn("part", F.spark_partition_id()), "score-ranges")
     parts = by.groupBy("part").agg(F.min("s").alias("lo"), F.sum("n").alias("pn"))
     before = F.coalesce(F.sum("pn").over(Window.orderBy("lo").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     own = F.coalesce(F.sum("n").over(Window.partitionBy("part").orderBy("s").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))

@@ -15,14 +15,19 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from dyngraph.operators import recur, tasks
-from dyngraph.operators.blocks import ranges
-from dyngraph.operators.convolve import aggregate_neighbors, laplacian, times, transposed
-from dyngraph.operators.partition import aggregate_shipped, by_vertex_hash, by_vertex_uniform, hybrid_tile
+from dyngraph.operators.blocks import block_owner, ranges
+from dyngraph.operators.convolve import aggregate_neighbors, laplacian, project, times, transposed
+from dyngraph.operators.delta import decode_delta, encode_delta, step_counts
+from dyngraph.operators.measures import PhaseTimer
+from dyngraph.operators.partition import aggregate_shipped, by_vertex_hash, by_vertex_uniform, home, homes, hybrid_tile
 from dyngraph.operators.smooth import edge_life, m_transform_edges, m_transform_features
 from dyngraph.operators.snapshots import degree_features
 from dyngraph.schema import Config, DynamicGraph, FeatureTensor
-from dyngraph.storage import written
+from dyngraph.session import co_located
+from dyngraph.storage import laid_out, scope, stored_bytes, written
 
+#: Frames that a chunk of the LSTM holds at most, on average.
+CHUNK_FRAMES = 200_000
 MODELS = ("window_mean", "skip_lstm", "weight_lstm", "weight_lstm_h", "static_gcn")
 
 
@@ -73,23 +78,79 @@ class DynamicModel:
         self.state: dict = {}
         self.stored = False
         self.owner = None
+        self.keys: list[int] = []
+        self.differences: tuple | None = None
+        self.vertices: int | None = None
+        self.timer = PhaseTimer()
 
     def store(self) -> DynamicModel:
-        """Writes what every epoch reads: the Laplacian by block, and (with cfg.precompute) the first layer's A X."""
-        block = F.floor((F.col("t") - 1) * self.cfg.blocks / self.T).cast("int").alias("block")
-        self.lap = written(self.lap.select("*", block), "laplacian", ["block"])
-        self.x = FeatureTensor(written(self.x.df.select("*", block), "features", ["block"]), self.x.width, self.x.name)
-        if self.cfg.layout != "snapshot":
-            make = {"vertex": by_vertex_uniform, "hash": by_vertex_hash, "hybrid": by_vertex_uniform}[self.cfg.layout]
-            self.owner = written(make(self.g, self.cfg.processors), "owner")
-        if self.cfg.precompute:
-            s = self.aggregate(self.lap.drop("block"), FeatureTensor(self.x.df.drop("block"), self.x.width))
-            self.first = FeatureTensor(written(s.df.select("*", block), "first-layer", ["block"]), s.width)
+        """Writes what every epoch reads: the Laplacian by block, and (with cfg.precompute) the first layer's A X.
+
+        In the snapshot layout both lie in buckets by the processor that owns a step inside its block, and frames are
+        sent to the same places, so that a convolution moves no row. With cfg.transfer "delta" or "adaptive" the
+        Laplacian is kept as differences instead, and each block is decoded when it is loaded.
+        """
+        cfg, spark = self.cfg, self.g.spark
+        with self.timer.phase("prepare"):
+            block, pid = block_owner(F.col("t"), self.T, cfg.blocks, cfg.processors)
+            cut = lambda df: df.withColumn("block", block.cast("int"))
+            if cfg.layout == "snapshot":
+                co_located(spark)
+                self.keys = homes(spark, cfg.processors)
+                put = lambda df, tag: laid_out(cut(self._home(df)), tag, "home", cfg.processors, ["block"])
+            else:
+                put = lambda df, tag: written(cut(df), tag, ["block"])
+                make = {"vertex": by_vertex_uniform, "hash": by_vertex_hash, "hybrid": by_vertex_uniform}[cfg.layout]
+                self.owner = written(make(self.g, cfg.processors), "owner")
+            if cfg.transfer == "full":
+                self.lap = put(self.lap, "laplacian")
+            else:
+                self._store_differences(cut, block, pid)
+            self.x = FeatureTensor(put(self.x.df, "features"), self.x.width, self.x.name)
+            if cfg.precompute:
+                s = self.aggregate(self._lap(1, self.T), FeatureTensor(self.x.df.drop("block"), self.x.width))
+                self.first = FeatureTensor(put(s.df.drop("home"), "first-layer"), s.width)
         self.stored = True
         return self
 
+    def _home(self, df: DataFrame) -> DataFrame:
+        return df.withColumn("home", home(block_owner(F.col("t"), self.T, self.cfg.blocks, self.cfg.processors)[1], self.keys))
+
+    def _store_differences(self, cut, block, pid) -> None:
+        """Differences inside each processor's share of each block; adaptive keeps a step in full where that is no larger."""
+        g = DynamicGraph(written(self.lap.select("t", "src", "dst", F.col("a").alias("w")), "laplacian"), self.g.vertices, self.T)
+        at = g.spark.range(1, self.T + 1).select(F.col("id").alias("t")).withColumns({"b": block, "p": pid})
+        plan = at.groupBy("b", "p").agg(F.min("t").alias("t")).select("t", F.lit(True).alias("whole"))
+        plan = at.select("t").join(plan, "t", "left").na.fill(False, ["whole"])
+        if self.cfg.transfer == "adaptive":
+            dearer = F.col("nnz") <= F.col("ext_prev") + F.col("ext_next")
+            plan = plan.join(step_counts(g), "t").select("t", (F.col("whole") | dearer).alias("whole"))
+        plan = written(plan, "difference-plan")
+        indices, values = encode_delta(g, plan=plan)
+        self.differences = (written(cut(indices), "indices", ["block"]), written(cut(values), "values", ["block"]), plan.where("whole").select("t"))
+
+    def loaded_bytes(self) -> int:
+        """Size of the stored Laplacian, which an epoch loads twice."""
+        return sum(stored_bytes(d) for d in self.differences[:2]) if self.differences else stored_bytes(self.lap)
+
+    def _lap(self, lo: int, hi: int) -> DataFrame:
+        """The Laplacian of some steps: read, or decoded from the differences of their blocks."""
+        if self.differences is None:
+            return self._part(self.lap, lo, hi)
+        indices, values, whole = self.differences
+        lap = decode_delta(self._part(indices, lo, hi), self._part(values, lo, hi), whole.where(F.col("t").between(lo, hi)), hi).withColumnRenamed("w", "a")
+        return self._home(lap).repartition(self.cfg.processors, "home") if self.keys else lap
+
+    def _chunks(self, lo: int, hi: int) -> int:
+        """Chunks of vertices for the LSTM: as many as processors, more if a chunk would hold too many frames."""
+        if self.vertices is None:
+            self.vertices = self.g.vertices.count()
+        return max(self.cfg.processors, -(-self.vertices * (hi - lo + 1) // CHUNK_FRAMES))
+
     def aggregate(self, lap: DataFrame, x: FeatureTensor) -> FeatureTensor:
         if self.owner is None:
+            if self.keys and "home" not in x.df.columns:
+                x = FeatureTensor(self._home(x.df).repartition(self.cfg.processors, "home"), x.width, x.name)
             return aggregate_neighbors(lap, x)
         tile = hybrid_tile(self.T, 2) if self.cfg.layout == "hybrid" else None
         return aggregate_shipped(lap, x, self.owner, tile)
@@ -119,11 +180,9 @@ class DynamicModel:
 
     def _pre(self, s: FeatureTensor, k: int, ws) -> FeatureTensor:
         """The layer's pre-activations from A X."""
-        from dyngraph.operators.convolve import project
-
         if self.model == "skip_lstm":
             cols = [F.col(c) for c in s.cols] + times(s.cols, self.params[f"w{k}"])
-            return FeatureTensor(s.df.select("t", "v", *[c.alias(f"p{i}") for i, c in enumerate(cols)]), len(cols), "p")
+            return FeatureTensor(s.df.select(*s.keys, *[c.alias(f"p{i}") for i, c in enumerate(cols)]), len(cols), "p")
         w = self.params[f"w{k}"] if ws is None else {t + 1: m for t, m in enumerate(ws)}
         return project(s, w, "p")
 
@@ -132,9 +191,13 @@ class DynamicModel:
         if keep and not (k == 0 and self.first is not None):
             s = FeatureTensor(written(s.df, "layer"), s.width, s.name)
         pre = self._pre(s, k, ws)
-        y = FeatureTensor(pre.df.select("t", "v", *[F.greatest(c, F.lit(0.0)).alias(f"x{i}") for i, c in enumerate(pre.cols)]), pre.width)
+        y = FeatureTensor(pre.df.select(*pre.keys, *[F.greatest(c, F.lit(0.0)).alias(f"x{i}") for i, c in enumerate(pre.cols)]), pre.width)
+        if self.model in ("skip_lstm", "window_mean"):  # to the vertices' places; the next convolution sends frames back to their steps'
+            y = FeatureTensor(y.df.drop("home"), y.width)
+            if self.keys and self.model == "window_mean" and carry is None:
+                y = FeatureTensor(y.df.repartition(self.cfg.processors, "v"), y.width)
         if self.model == "skip_lstm":
-            states = recur.lstm(y, cell_of(self.params, k), carry, self.cfg.processors * 2)
+            states = recur.lstm(y, cell_of(self.params, k), carry, self._chunks(lo, hi))
             if keep:
                 states = written(states, "states")
             z = FeatureTensor(states.select("t", "v", *[F.col(f"h{i}").alias(f"x{i}") for i in range(self.cfg.hidden)]), self.cfg.hidden)
@@ -150,7 +213,7 @@ class DynamicModel:
     def forward(self, keep: bool = False) -> FeatureTensor:
         """Frames of the last layer for all steps, in one block."""
         x = FeatureTensor(self.x.df.drop("block"), self.x.width)
-        lap = self.lap.drop("block")
+        lap = self._lap(1, self.T)
         evolved = self.weights()
         for k in range(self.cfg.layers):
             ws = evolved[k][0]
@@ -188,7 +251,7 @@ class DynamicModel:
         return sums["loss"] / m, du, db, FeatureTensor(dz, z.width)
 
     def _forward_block(self, lo: int, hi: int, carries: list, evolved: list, keep: bool) -> tuple:
-        lap = self._part(self.lap, lo, hi)
+        lap = self._lap(lo, hi)
         x = self._cut(self.x, lo, hi)
         kept, after = [], []
         for k in range(self.cfg.layers):
@@ -200,7 +263,7 @@ class DynamicModel:
 
     def _outer(self, s: FeatureTensor, g: FeatureTensor, by_step: bool):
         """Sums over rows of the outer products of frames and gradients; by step for evolving weights."""
-        j = s.renamed("s").df.join(g.renamed("g").df, ["t", "v"])
+        j = s.renamed("s").df.drop("home").join(g.renamed("g").df.drop("home"), ["t", "v"])
         cells = [F.sum(F.col(f"s{i}") * F.col(f"g{k}")).alias(f"c{i}_{k}") for i in range(s.width) for k in range(g.width)]
         rows = (j.groupBy("t") if by_step else j.groupBy()).agg(*cells).collect()
         take = lambda r: np.array([[r[f"c{i}_{k}"] or 0.0 for k in range(g.width)] for i in range(s.width)])
@@ -211,7 +274,7 @@ class DynamicModel:
         for k in range(self.cfg.layers - 1, -1, -1):
             s, y, _ = kept[k]
             if self.model == "skip_lstm":
-                out = written(recur.lstm_gradients(y, dz, cell_of(self.params, k), carries[k], back[k], self.cfg.processors * 2), "lstm-grad")
+                out = written(recur.lstm_gradients(y, dz, cell_of(self.params, k), carries[k], back[k], self._chunks(lo, lo + self.T // self.cfg.blocks)), "lstm-grad")
                 dy = FeatureTensor(out.where("kind = 0").select("t", "v", *[F.get("g", F.lit(i)).alias(f"x{i}") for i in range(y.width)]), y.width)
                 size = len(self.params[f"wx{k}"]) * 4 * self.cfg.hidden + self.cfg.hidden * 4 * self.cfg.hidden + 4 * self.cfg.hidden
                 flat = out.where("kind = 1").agg(F.array(*[F.sum(F.get("g", F.lit(i))) for i in range(size)]).alias("g")).first()["g"]
@@ -229,7 +292,7 @@ class DynamicModel:
                 handed[k] = df.where(F.col("t") < lo)
             else:
                 dy = dz
-            on = y.renamed("y").df.join(dy.df, ["t", "v"])
+            on = y.renamed("y").df.drop("home").join(dy.df.drop("home"), ["t", "v"])
             g = FeatureTensor(on.select("t", "v", *[F.when(F.col(f"y{i}") > 0, F.col(f"x{i}")).otherwise(F.lit(0.0)).alias(f"x{i}") for i in range(y.width)]), y.width)
             g = FeatureTensor(written(g.df, "pre-grad"), g.width)
             w = self.params[f"w{k}"]
@@ -241,8 +304,6 @@ class DynamicModel:
                 for t, m in dw.items():
                     grads["steps"][k][t - 1] += m
             if k:
-                from dyngraph.operators.convolve import project
-
                 if self.model == "skip_lstm":
                     cols = [F.col(f"x{i}") + e for i, e in enumerate(times([f"x{s.width + j}" for j in range(w.shape[1])], w.T))]
                     ds = FeatureTensor(g.df.select("t", "v", *[c.alias(f"x{i}") for i, c in enumerate(cols)]), s.width)
@@ -255,7 +316,12 @@ class DynamicModel:
         return handed
 
     def gradients(self, rows: DataFrame, m: int | None = None) -> tuple[float, dict]:
-        """Loss and full-batch gradients over cfg.blocks blocks. rows: (t, u, v, y) or (t, v, y)."""
+        """Loss and full-batch gradients over cfg.blocks blocks. rows: (t, u, v, y) or (t, v, y).
+
+        weight_lstm_h, an extension, has a forward pass only: its summaries are picked by rank, which has no derivative here.
+        """
+        if self.model == "weight_lstm_h":
+            raise NotImplementedError("weight_lstm_h has no backward pass")
         if not self.stored:
             self.store()
         m = m or rows.count()
@@ -264,24 +330,27 @@ class DynamicModel:
         if self.model == "weight_lstm":
             grads["steps"] = [[np.zeros_like(self.params[f"w{k}"]) for _ in range(self.T)] for k in range(cfg.layers)]
         plan = [b for b in ranges(self.T, cfg.blocks) if b[1] <= b[2]]
-        carries: list[list] = [[None] * cfg.layers]
-        runs, loss = [], 0.0
-        for n, (_, lo, hi) in enumerate(plan):  # forward: only the carries are kept, and the last block's layers
-            last = n == len(plan) - 1
-            if last:
-                runs.append(self._forward_block(lo, hi, carries[-1], evolved, True))
-            else:
-                _, _, after, _ = self._forward_block(lo, hi, carries[-1], evolved, False)
-                carries.append([None if a is None else written(a, "carry") for a in after])
-        back: list = [None] * cfg.layers
-        for n in range(len(plan) - 1, -1, -1):
-            _, lo, hi = plan[n]
-            z, kept, _, lap = runs.pop() if runs else self._forward_block(lo, hi, carries[n], evolved, True)
-            part, du, db, dz = self._head(z, rows.where(F.col("t").between(lo, hi)), m)
-            loss += part
-            grads["u"] += du
-            grads["b"] += db
-            back = self._backward_block(dz, kept, carries[n], back, lap, lo, grads, evolved)
+        spark, loss = self.g.spark, 0.0
+        with scope(spark):  # the carries, for the way back
+            carries: list[list] = [[None] * cfg.layers]
+            for _, lo, hi in plan[:-1]:  # forward: only the carries are kept
+                with self.timer.phase("forward"), scope(spark) as block:
+                    _, _, after, _ = self._forward_block(lo, hi, carries[-1], evolved, False)
+                    carries.append([None if a is None else block.keep(a, "carry") for a in after])
+            back: list = [None] * cfg.layers
+            for n in range(len(plan) - 1, -1, -1):  # the last block's first run is its only one
+                _, lo, hi = plan[n]
+                with scope(spark) as block:
+                    with self.timer.phase("forward"):
+                        z, kept, _, lap = self._forward_block(lo, hi, carries[n], evolved, True)
+                    with self.timer.phase("head"):
+                        part, du, db, dz = self._head(z, rows.where(F.col("t").between(lo, hi)), m)
+                    loss += part
+                    grads["u"] += du
+                    grads["b"] += db
+                    with self.timer.phase("backward"):
+                        back = self._backward_block(dz, kept, carries[n], back, lap, lo, grads, evolved)
+                        back = [None if h is None or n == 0 else block.keep(h, "back") for h in back]
         if self.model == "weight_lstm":
             for k, steps in enumerate(grads.pop("steps")):
                 dw0, cell = recur.evolve_backward(steps, cell_of(self.params, k), evolved[k][1])
@@ -321,7 +390,8 @@ class DynamicModel:
         for epoch in range(1, epochs + 1):
             loss, grads = self.gradients(train, m)
             self.step(grads)
-            right = tasks.accuracy(self.score(test)).first()["accuracy"] if test is not None else None
+            with self.timer.phase("test"), scope(self.g.spark):
+                right = tasks.accuracy(self.score(test)).first()["accuracy"] if test is not None else None
             history.append({"epoch": epoch, "loss": float(loss), "accuracy": right})
             worse = 0 if loss < best else worse + 1
             best = min(best, loss)

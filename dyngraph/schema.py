@@ -50,8 +50,13 @@ class FeatureTensor:
     def cols(self) -> list[str]:
         return [f"{self.name}{i}" for i in range(self.width)]
 
+    @property
+    def keys(self) -> list[str]:
+        """The columns that name a frame; with home, the key by which frames are laid out."""
+        return [*(["home"] if "home" in self.df.columns else []), "t", "v"]
+
     def renamed(self, name: str) -> FeatureTensor:
-        return FeatureTensor(self.df.select("t", "v", *[F.col(a).alias(f"{name}{i}") for i, a in enumerate(self.cols)]), self.width, name)
+        return FeatureTensor(self.df.select(*self.keys, *[F.col(a).alias(f"{name}{i}") for i, a in enumerate(self.cols)]), self.width, name)
 
     def keep(self, condition: Column) -> FeatureTensor:
         return replace(self, df=self.df.where(condition))
@@ -71,6 +76,7 @@ class Config:
     optimizer: str = "sgd"
     precompute: bool = True
     layout: str = "snapshot"
+    transfer: str = "full"
     processors: int = 4
     seed: int = 7
     extra: dict = field(default_factory=dict)

@@ -12,6 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 _CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 _OWN: dict[str, list[str]] = {}
+_TABLES: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -45,9 +46,29 @@ def written(df: DataFrame, tag: str, partition_by: list[str] | None = None) -> D
     return spark.read.schema(df.schema).parquet(path)
 
 
+def laid_out(df: DataFrame, tag: str, key: str, parts: int, partition_by: list[str] | None = None) -> DataFrame:
+    """Like written, in `parts` buckets by key: joins and groupings by the key and more columns need no exchange when it is read."""
+    spark = df.sparkSession
+    path = fresh_path(spark, tag)
+    name = path.rsplit("/", 1)[-1].replace("-", "_")
+    writer = df.repartition(parts, key).write.format("parquet").option("path", path).bucketBy(parts, key)
+    (writer.partitionBy(*partition_by) if partition_by else writer).saveAsTable(name)
+    _TABLES[path] = name
+    return spark.table(name)
+
+
+def stored_bytes(df: DataFrame) -> int:
+    """Size of the files that a stored DataFrame reads."""
+    jvm, conf = df.sparkSession.sparkContext._jvm, df.sparkSession.sparkContext._jsc.hadoopConfiguration()
+    paths = [jvm.org.apache.hadoop.fs.Path(f) for f in df.inputFiles()]
+    return sum(p.getFileSystem(conf).getFileStatus(p).getLen() for p in paths)
+
+
 def _delete(spark: SparkSession, paths: list[str]) -> None:
     jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
     for path in paths:
+        if path in _TABLES:
+            spark.sql(f"DROP TABLE IF EXISTS {_TABLES.pop(path)}")
         p = jvm.org.apache.hadoop.fs.Path(path)
         p.getFileSystem(conf).delete(p, True)
 
