@@ -87,7 +87,7 @@ def pieces(docs: DataFrame, path: str, end_id: int = 1, size: int = MAX_TOKENS)
     return docs.select("doc_id", "text").mapInArrow(_cutter(path, end_id, size), _PIECES)
 
 
-def choose(histogram: dict[int, int], max_tokens: int = MAX_TOKENS, max_docs: int = MAX_DOCS, max_attention: int | None = None, rule: str = "norm", weights=(1.0, 0.0, 0.0)) -> list[tuple]:
+def choose(histogram: dict[int, int], max_tokens: int = MAX_TOKENS, max_docs: int = MAX_DOCS, max_attention: int | None = None, rule: str = "norm", weights=(1.0, 0.3, 0.3)) -> list[tuple]:
     """Bins for a histogram length -> pieces: rows (length, first rank, last rank + 1, first bin, pieces a bin, offset).
 
     rule "norm" takes the bins whose weighted residual, in shares of the capacities, has the least norm once the
@@ -158,10 +158,14 @@ def pack(cut: DataFrame, **limits) -> DataFrame:
     return placed.select(*cut.columns, (F.col("_bin") + F.floor(at / F.col("_each"))).cast("long").alias("sequence_id"), (F.col("_offset") + at % F.col("_each") * F.col("length")).cast("long").alias("offset"))
 
 
-def pack_documents(docs: DataFrame, path: str | None = None, **limits) -> DataFrame:
-    """All documents as pieces with their places; an empty table gives an empty result."""
+def pack_documents(docs: DataFrame, path: str | None = None, piece_tokens: int | None = None, **limits) -> DataFrame:
+    """All documents as pieces with their places; an empty table gives an empty result.
+
+    Documents are cut after piece_tokens ids (max_tokens, if none are given), so that with shorter pieces an attention
+    capacity below that of one full sequence can be kept.
+    """
     if path is None:
         import public_tokenizers
 
         path = public_tokenizers.path("word_bpe_49k.json")
-    return pack(written(pieces(docs, path, size=limits.get("max_tokens", MAX_TOKENS)), "pieces"), **limits)
+    return pack(written(pieces(docs, path, size=piece_tokens or limits.get("max_tokens", MAX_TOKENS)), "pieces"), **limits)

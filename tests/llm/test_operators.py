@@ -209,6 +209,61 @@ def test_language_model(docs, rows, empty):
     assert brown_lm.evaluate(empty).count() == 0
 
 
+def test_language_model_against_plain_counts(spark, docs, rows):
+    """Classes of the words outside the first exchange, and every text's score, from token sequences in plain loops."""
+    learn = docs.where(F.col("doc_id").isNotNull() & ~brown_lm.held_out(7, 2))
+    counts, model = brown_lm.train(learn, types=40, classes=4, held=120)
+    texts = [brown_lm.tokens(r["text"]) + [brown_lm.END.encode()] for r in learn.select("text").collect()]
+    words = model["words"].split(b"\n")
+    place, classes, end = {w: i for i, w in enumerate(words)}, 4, 4 + brown_lm.FORMS
+    width = end + 1
+    assert len(words) == 120 and len(model["class"]) == 120 and set(model["class"]) <= set(range(4))
+
+    def label(w, of):
+        return end if w == brown_lm.END.encode() else of[place[w]] if w in place and place[w] < len(of) else classes + brown_lm.form(w)
+
+    def transitions(of):
+        m = np.zeros((width, width))
+        for t in texts:
+            for a, b in zip([end] + [label(w, of) for w in t], [label(w, of) for w in t]):
+                m[a, b] += 1
+        return m
+
+    first, m = model["class"][:40], transitions(model["class"][:40])
+    for w in words[40:]:
+        before, after = np.zeros(width), np.zeros(width)
+        for t in texts:
+            c = [end] + [label(x, first) for x in t] + [end]
+            for i, x in enumerate(t):
+                if x == w:
+                    before[c[i]] += 1
+                    after[c[i + 2]] += 1
+        x = lambda v: v * math.log(v) if v > 0 else 0.0
+        gain = [
+            sum(x(m[k, j] + after[j]) - x(m[k, j]) + x(m[j, k] + before[j]) - x(m[j, k]) for j in range(width))
+            - x(m[k].sum() + after.sum()) + x(m[k].sum()) - x(m[:, k].sum() + before.sum()) + x(m[:, k].sum())
+            for k in range(classes)
+        ]
+        assert gain[model["class"][place[w]]] == pytest.approx(max(gain), abs=1e-9)
+    m = transitions(model["class"])
+    n = collections.Counter(w for t in texts for w in t)
+    seen = m.sum(0)
+    unigram = (seen + 0.5) / (seen.sum() + 0.5 * width)
+    log_t = np.log10((m + unigram) / (m.sum(1, keepdims=True) + 1))
+    inside = [sum(n[w] for w in words if model["class"][place[w]] == k) for k in range(classes)]
+    types = collections.Counter(brown_lm.form(w) for w in n if w not in place and w != brown_lm.END.encode())
+    expect = collections.Counter()
+    for d, text in rows:
+        t = brown_lm.tokens(text) + [brown_lm.END.encode()]
+        c = [end] + [label(w, model["class"]) for w in t]
+        total = sum(log_t[a, b] for a, b in zip(c, c[1:]))
+        for w, k in zip(t[:-1], c[1:]):
+            total += math.log10(n[w] / inside[k]) if w in place else math.log10((n[w] + 1) / (seen[k] + types[k - classes] + 1))
+        expect[d, round(total, 6)] += 1
+    got = collections.Counter((r["doc_id"], round(r["score"], 6)) for r in brown_lm.score(docs, counts, model).collect())
+    assert got == expect
+
+
 def test_exchange_never_lowers_the_likelihood():
     rng = np.random.default_rng(2)
     pairs = rng.poisson(2.0, (30, 30)).astype(float)
@@ -408,6 +463,19 @@ def test_packing(docs, rows, empty):
     assert vector_packing.pack_documents(empty).count() == 0
 
 
+@pytest.mark.parametrize("limits", [{"max_docs": 3}, {"max_attention": 60_000}, {"max_docs": 4, "max_attention": 90_000, "rule": "dot"}])
+def test_packing_under_every_capacity(docs, limits):
+    """Document and attention capacities that bind, through the whole operator; weights of capacities that don't bind cost no sequence."""
+    sequences = lambda **how: vector_packing.pack_documents(docs, max_tokens=512, piece_tokens=200, **how)
+    bins = collections.defaultdict(list)
+    for r in sequences(**limits).collect():
+        bins[r["sequence_id"]].append(r["length"])
+    for b in bins.values():
+        assert sum(b) <= 512 and len(b) <= limits.get("max_docs", 512) and sum(x * x for x in b) <= limits.get("max_attention", 512**2)
+    plain, full = (sequences(weights=w).select("sequence_id").distinct().count() for w in ((1.0, 0.0, 0.0), (1.0, 0.3, 0.3)))
+    assert full <= plain < len(bins)
+
+
 def test_tokens_by_word_equal_whole_texts():
     import public_tokenizers
     from tokenizers import Tokenizer
@@ -442,7 +510,8 @@ def test_top_k(spark):
 # ---- 10 ---------------------------------------------------------------------------------------------------------------
 
 
-def slow_lines(rows, radius=3, similarity=0.8):
+def slow_lines(rows, similarity=0.8):
+    """Removed lines by doc_id if all pairs of lines of that edit similarity are linked."""
     import regex
 
     lines = []
@@ -456,10 +525,6 @@ def slow_lines(rows, radius=3, similarity=0.8):
     for d, i, norm in lines:
         first.setdefault(norm, (d, i))
 
-    def bits(norm):
-        hs = [xxhash.xxh64_intdigest(w.encode(), 42) for w in set(norm.split(" "))]
-        return sum(1 << b for b in range(64) if 2 * sum(h >> b & 1 for h in hs) > len(hs))
-
     def distance(a, b):
         row = list(range(len(b) + 1))
         for i, c in enumerate(a, 1):
@@ -470,7 +535,6 @@ def slow_lines(rows, radius=3, similarity=0.8):
         return row[-1]
 
     names = list(first)
-    prints = [bits(x) for x in names]
     root = list(range(len(names)))
 
     def find(i):
@@ -481,7 +545,7 @@ def slow_lines(rows, radius=3, similarity=0.8):
     for i, a in enumerate(names):
         for j in range(i):
             b = names[j]
-            if " " in a and " " in b and (prints[i] ^ prints[j]).bit_count() <= radius and distance(a, b) <= max(len(a), len(b)) * (1 - similarity) + 1e-9:
+            if abs(len(a) - len(b)) <= max(len(a), len(b)) * (1 - similarity) + 1e-9 and distance(a, b) <= max(len(a), len(b)) * (1 - similarity) + 1e-9:
                 root[find(i)] = find(j)
     keep = {}
     for i, x in enumerate(names):
