@@ -467,18 +467,18 @@ def one_sgd_step_window_mean(spark, sf):
     return r6(spark.createDataFrame([tuple(float(x) for x in m.params["u"].ravel())], ", ".join(f"{n} double" for n in names)), names, ())
 
 
-def _history(spark, model, epochs=2, **cfg):
-    g = snapshots.planted_communities(spark, 6, 24, 3)
-    g = DynamicGraph(written(g.edges, "planted"), g.vertices, g.T)
-    data = written(tasks.link_dataset(g, 0.3), "pairs")
+def _history(spark, sf, model, epochs=2, **cfg):
+    g = tables.graph(spark, sf, N)
+    g = DynamicGraph(written(g.edges, "edges"), written(g.vertices, "vertices"), g.T)
+    data = written(tasks.link_dataset(g, 0.1), "pairs")
     m = training.DynamicModel(g, model, Config(hidden=4, optimizer="adam", rate=0.05, **cfg))
     h = m.train(data.where("split = 'train'").drop("split"), data.where("split = 'test'").drop("split"), epochs)
     return spark.createDataFrame([(cfg.get("layout", "snapshot"), cfg.get("blocks", 2), r["epoch"], r["loss"], r["accuracy"]) for r in h], "layout string, blocks int, epoch int, loss double, accuracy double")
 
 
 for _m in ("window_mean", "skip_lstm", "weight_lstm"):
-    query(f"train_{_m}")(lambda spark, sf, m=_m: _history(spark, m, blocks=2))
-query("loss_history_blocked_vs_plain")(lambda spark, sf: _history(spark, "window_mean", blocks=1).unionByName(_history(spark, "window_mean", blocks=3)).unionByName(_history(spark, "window_mean", blocks=2, layout="vertex")))
+    query(f"train_{_m}")(lambda spark, sf, m=_m: _history(spark, sf, m, blocks=2))
+query("loss_history_blocked_vs_plain")(lambda spark, sf: _history(spark, sf, "window_mean", blocks=1).unionByName(_history(spark, sf, "window_mean", blocks=3)).unionByName(_history(spark, sf, "window_mean", blocks=2, layout="vertex")))
 
 
 @query("lstm_gradient")
@@ -533,10 +533,10 @@ def redistribution_roundtrip(spark, sf):
 
 @query("hypergraph_partition_quality")
 def hypergraph_partition_quality(spark, sf):
-    """(round, lambda) of the refinement on planted communities."""
-    g = snapshots.planted_communities(spark, 6, 40, 3)
-    g = DynamicGraph(written(g.edges, "planted"), g.vertices, g.T)
-    _, trace = partition.by_vertex_hypergraph(g, 2, rounds=4)
+    """(round, lambda) of the refinement of four owners of the customer and supplier graph."""
+    g = tables.graph(spark, sf, "cust_supp")
+    g = DynamicGraph(written(g.edges, "edges"), written(g.vertices, "vertices"), g.T)
+    _, trace = partition.by_vertex_hypergraph(g, 4, rounds=4)
     return spark.createDataFrame(trace, "round long, lambda_all long")
 
 

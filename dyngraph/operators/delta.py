@@ -37,15 +37,15 @@ def step_counts(g: DynamicGraph) -> DataFrame:
     return g.spark.range(1, g.T + 1).select(F.col("id").alias("t")).join(size, "t", "left").join(parts, "t", "left").na.fill(0)
 
 
-def step_costs(g: DynamicGraph, block: int | None = None, processors: int = 1, index_bytes: int = 8, value_bytes: int = 4, values: str = "all") -> DataFrame:
+def step_costs(g: DynamicGraph, block: int | None = None, processors: int = 1, index_bytes: int = 8, value_bytes: int = 4, values: str = "all", counts: DataFrame | None = None) -> DataFrame:
     """Bytes of each step in full, as a difference (in full where a chunk starts), and the cheaper of the two.
 
-    values="none" leaves the value arrays out of the differences, for graphs whose weights never change.
+    counts: step_counts(g), if they are at hand. values="none" leaves the value arrays out of the differences, for graphs whose weights never change.
     """
     vb = value_bytes if values == "all" else 0
     full = F.col("nnz") * (2 * index_bytes + value_bytes)
     diff = (F.col("ext_prev") + F.col("ext_next")) * (2 * index_bytes) + F.col("nnz") * vb
-    rows = step_counts(g).join(step_plan(g.spark, g.T, block, processors), "t")
+    rows = (step_counts(g) if counts is None else counts).join(step_plan(g.spark, g.T, block, processors), "t")
     delta = F.when(F.col("first"), full).otherwise(diff)
     return rows.select("t", "block", "pid", "first", "nnz", "ext_prev", "ext_next", full.alias("full_bytes"), delta.alias("delta_bytes"), F.least(full, delta).alias("adaptive_bytes"))
 

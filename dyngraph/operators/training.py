@@ -19,7 +19,7 @@ from dyngraph.operators.blocks import block_owner, ranges
 from dyngraph.operators.convolve import aggregate_neighbors, laplacian, project, times, transposed
 from dyngraph.operators.delta import decode_delta, encode_delta, step_counts
 from dyngraph.operators.measures import PhaseTimer
-from dyngraph.operators.partition import aggregate_shipped, by_vertex_hash, by_vertex_uniform, home, homes, hybrid_tile
+from dyngraph.operators.partition import aggregate_shipped, by_vertex_hash, by_vertex_hypergraph, by_vertex_uniform, home, homes, hybrid_tile
 from dyngraph.operators.smooth import edge_life, m_transform_edges, m_transform_features
 from dyngraph.operators.snapshots import degree_features
 from dyngraph.schema import Config, DynamicGraph, FeatureTensor
@@ -100,8 +100,10 @@ class DynamicModel:
                 put = lambda df, tag: laid_out(cut(self._home(df)), tag, "home", cfg.processors, ["block"])
             else:
                 put = lambda df, tag: written(cut(df), tag, ["block"])
-                make = {"vertex": by_vertex_uniform, "hash": by_vertex_hash, "hybrid": by_vertex_uniform}[cfg.layout]
-                self.owner = written(make(self.g, cfg.processors), "owner")
+                refined = lambda g, p: by_vertex_hypergraph(g, p, rounds=cfg.extra.get("rounds", 2))[0]
+                make = {"vertex": by_vertex_uniform, "hash": by_vertex_hash, "hybrid": by_vertex_uniform, "hypergraph": refined}[cfg.layout]
+                with scope(spark) as inner:
+                    self.owner = inner.keep(make(self.g, cfg.processors), "owner")
             if cfg.transfer == "full":
                 self.lap = put(self.lap, "laplacian")
             else:

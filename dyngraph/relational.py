@@ -21,9 +21,9 @@ def rel_filter_predicates(spark, sf):
     return e.select("t", "src", "dst", F.when(F.col("src") < F.col("dst"), "up").otherwise("down").alias("way"))
 
 
-@query("rel_like_null_safe", "SELECT p_partkey, p_type FROM part WHERE p_type LIKE '%STEEL%' AND p_brand IS NOT DISTINCT FROM 'Brand#11'")
+@query("rel_like_null_safe", "SELECT p_partkey, p_type FROM part WHERE p_type LIKE '%ANDARD%' AND p_brand IS NOT DISTINCT FROM 'Brand#11'")
 def rel_like_null_safe(spark, sf):
-    return tables.load(spark, sf, "part").where(F.col("p_type").like("%STEEL%") & F.col("p_brand").eqNullSafe("Brand#11")).select("p_partkey", "p_type")
+    return tables.load(spark, sf, "part").where(F.col("p_type").like("%ANDARD%") & F.col("p_brand").eqNullSafe("Brand#11")).select("p_partkey", "p_type")
 
 
 _JOIN = "SELECT c_mktsegment, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1"
@@ -56,10 +56,10 @@ def rel_full_outer_diff(spark, sf):
     return a.join(b, ["src", "dst"], "full").select("src", "dst", F.when(F.col("b").isNull(), "left").when(F.col("a").isNull(), "entered").otherwise("common").alias("kind"))
 
 
-@query("rel_range_band_join", O.sql(E, final="SELECT a.t, a.src, a.dst, count(*) AS n FROM e a JOIN e b ON a.src = b.src AND a.dst = b.dst AND b.t BETWEEN a.t - 2 AND a.t WHERE a.src = 1 GROUP BY ALL"))
+@query("rel_range_band_join", O.sql(E, final="SELECT a.t, a.src, a.dst, count(*) AS n FROM e a JOIN e b ON a.src = b.src AND a.dst = b.dst AND b.t BETWEEN a.t - 2 AND a.t GROUP BY ALL"))
 def rel_range_band_join(spark, sf):
     """Band join through an equality on the pair and the unrolled short band of steps."""
-    e = edges(spark, sf).where("src = 1").select("t", "src", "dst")
+    e = edges(spark, sf).select("t", "src", "dst")
     b = e.select(F.explode(F.sequence("t", F.col("t") + 2)).alias("t"), "src", "dst")
     return e.join(b, ["t", "src", "dst"]).groupBy("t", "src", "dst").agg(F.count(F.lit(1)).alias("n"))
 
@@ -83,9 +83,9 @@ def rel_asof_carry(spark, sf):
     return both.withColumn("last_n", F.last("n", ignorenulls=True).over(w.rowsBetween(Window.unboundedPreceding, -1))).where("o = 0").select("t", "v", "last_n")
 
 
-@query("rel_two_hop", O.sql(E, final="SELECT a.t, a.src, b.dst, count(*) AS paths FROM e a JOIN e b ON a.t = b.t AND a.dst = b.src WHERE a.t = 1 AND a.src <> b.dst GROUP BY ALL"))
+@query("rel_two_hop", O.sql(E, final="SELECT a.t, a.src, b.dst, count(*) AS paths FROM e a JOIN e b ON a.t = b.t AND a.dst = b.src WHERE a.src <> b.dst GROUP BY ALL"))
 def rel_two_hop(spark, sf):
-    e = edges(spark, sf).where("t = 1")
+    e = edges(spark, sf)
     a, b = e.select("t", "src", F.col("dst").alias("mid")), e.select("t", F.col("src").alias("mid"), "dst")
     return a.join(b, ["t", "mid"]).where("src <> dst").groupBy("t", "src", "dst").agg(F.count(F.lit(1)).alias("paths"))
 
@@ -117,13 +117,13 @@ for _k, _group in (("cube", "CUBE (r_name, year)"), ("rollup", "ROLLUP (r_name,
         return g.agg(F.grouping_id().alias("gid"), F.count(F.lit(1)).alias("n"))
 
 
-_DEG = "d AS (SELECT t, src AS v, count(*) AS n FROM e WHERE t <= 12 GROUP BY ALL)"
+_DEG = "d AS (SELECT t, src AS v, count(*) AS n FROM e GROUP BY ALL)"
 _RANKS = "row_number() OVER o AS rn, rank() OVER k AS rk, dense_rank() OVER k AS dr, CAST(ntile(4) OVER o AS INTEGER) AS nt, round(percent_rank() OVER k, 6) AS pr, round(cume_dist() OVER k, 6) AS cd, lag(n) OVER o AS lg, lead(n) OVER o AS ld, first_value(n) OVER o AS fv, nth_value(n, 2) OVER (PARTITION BY t ORDER BY n DESC, v ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS nv"
 
 
 @query("rel_window_rank_suite", O.sql(E, _DEG, final=f"SELECT t, v, n, {_RANKS} FROM d WINDOW o AS (PARTITION BY t ORDER BY n DESC, v), k AS (PARTITION BY t ORDER BY n DESC)"))
 def rel_window_rank_suite(spark, sf):
-    d = edges(spark, sf).where("t <= 12").groupBy("t", F.col("src").alias("v")).agg(F.count(F.lit(1)).alias("n"))
+    d = edges(spark, sf).groupBy("t", F.col("src").alias("v")).agg(F.count(F.lit(1)).alias("n"))
     k = Window.partitionBy("t").orderBy(F.desc("n"))
     o = Window.partitionBy("t").orderBy(F.desc("n"), "v")
     full = o.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
@@ -205,17 +205,17 @@ def rel_scalar_subquery(spark, sf):
     return spark.sql("SELECT t, count(*) AS n, round(count(*) / (SELECT count(*) FROM e_view), 6) AS share FROM e_view GROUP BY t")
 
 
-@query("rel_correlated_exists", O.sql(E, "v AS (SELECT DISTINCT src AS v FROM e)", final="SELECT v FROM v WHERE EXISTS (SELECT 1 FROM e WHERE e.src = v.v AND e.t = 2) AND NOT EXISTS (SELECT 1 FROM e WHERE e.dst = v.v AND e.t = 1)"))
+@query("rel_correlated_exists", O.sql(E, "v AS (SELECT DISTINCT src AS v FROM e)", final="SELECT v FROM v WHERE EXISTS (SELECT 1 FROM e WHERE e.src = v.v AND e.t = 2) AND EXISTS (SELECT 1 FROM e WHERE e.dst = v.v AND e.t = 1)"))
 def rel_correlated_exists(spark, sf):
     edges(spark, sf).createOrReplaceTempView("e_view")
-    return spark.sql("SELECT v FROM (SELECT DISTINCT src AS v FROM e_view) x WHERE EXISTS (SELECT 1 FROM e_view WHERE src = v AND t = 2) AND NOT EXISTS (SELECT 1 FROM e_view WHERE dst = v AND t = 1)")
+    return spark.sql("SELECT v FROM (SELECT DISTINCT src AS v FROM e_view) x WHERE EXISTS (SELECT 1 FROM e_view WHERE src = v AND t = 2) AND EXISTS (SELECT 1 FROM e_view WHERE dst = v AND t = 1)")
 
 
-@query("rel_recursive_reach", O.sql(E, "r(v, t) AS (SELECT CAST(0 AS BIGINT), CAST(0 AS BIGINT) UNION SELECT e.dst, e.t FROM r JOIN e ON e.src = r.v AND e.t = r.t + 1 WHERE r.t < 6)", final="SELECT t, count(*) AS reached FROM r GROUP BY t"))
+@query("rel_recursive_reach", O.sql(E, "r(v, t) AS (SELECT CAST(0 AS BIGINT), CAST(0 AS BIGINT) UNION SELECT e.dst, e.t FROM r JOIN e ON e.src = r.v AND e.t = r.t + 1)", final="SELECT t, count(*) AS reached FROM r GROUP BY t"))
 def rel_recursive_reach(spark, sf):
     """Vertices reached along one edge a step, as a recursive query."""
-    edges(spark, sf).where("t <= 6").createOrReplaceTempView("e_view")
-    return spark.sql("WITH RECURSIVE r(v, t) AS (SELECT 0L, 0L UNION ALL SELECT DISTINCT e.dst, e.t FROM r JOIN e_view e ON e.src = r.v AND e.t = r.t + 1 WHERE r.t < 6) SELECT t, count(DISTINCT v) AS reached FROM r GROUP BY t")
+    edges(spark, sf).createOrReplaceTempView("e_view")
+    return spark.sql("WITH RECURSIVE r(v, t) MAX RECURSION LEVEL 400 AS (SELECT 0L, 0L UNION ALL SELECT DISTINCT e.dst, e.t FROM r JOIN e_view e ON e.src = r.v AND e.t = r.t + 1) SELECT t, count(DISTINCT v) AS reached FROM r GROUP BY t")
 
 
 @query("rel_hash_sample", O.sql(E, final=f"SELECT t, src, dst FROM e WHERE {O.hash32('CAST(t AS VARCHAR) || chr(45) || CAST(src AS VARCHAR) || chr(45) || CAST(dst AS VARCHAR)')} % 10 = 0"))
@@ -223,6 +223,14 @@ def rel_hash_sample(spark, sf):
     return edges(spark, sf).where(snapshots.hash32(F.concat_ws("-", "t", "src", "dst")) % 10 == 0).select("t", "src", "dst")
 
 
+@query("rel_sample")
+def rel_sample(spark, sf):
+    """A tenth of the edges by seed, and shares by source group: a sampling operator, so without twin."""
+    e = edges(spark, sf).withColumn("half", (F.col("src") % 2).cast("int"))
+    some = e.sample(0.1, 7).select(F.lit("sample").alias("how"), "t", "src", "dst")
+    return some.unionByName(e.sampleBy("half", {0: 0.05, 1: 0.2}, 7).select(F.lit("by").alias("how"), "t", "src", "dst"))
+
+
 @query("rel_json_props", "SELECT CAST(json_extract(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM events GROUP BY 1")
 def rel_json_props(spark, sf):
     p = F.from_json("props", "k BIGINT")
@@ -234,9 +242,9 @@ def rel_string_host(spark, sf):
     return tables.load(spark, sf, "pages").select(F.regexp_extract("url", "^https?://([^/]+)", 1).alias("host"), F.length("url").cast("long").alias("l")).groupBy("host").agg(F.count(F.lit(1)).alias("n"), F.max("l").alias("longest"))
 
 
-@query("rel_map_sparse_row", O.sql(E, final="SELECT t, src, array_to_string(list_transform(list_sort(list(dst)), lambda d: CAST(d AS VARCHAR)), ',') AS neighbours, count(*) AS n FROM e WHERE t = 1 GROUP BY t, src"))
+@query("rel_map_sparse_row", O.sql(E, final="SELECT t, src, array_to_string(list_transform(list_sort(list(dst)), lambda d: CAST(d AS VARCHAR)), ',') AS neighbours, count(*) AS n FROM e GROUP BY t, src"))
 def rel_map_sparse_row(spark, sf):
-    m = edges(spark, sf).where("t = 1").groupBy("t", "src").agg(vectors.sparse_row(F.col("dst"), F.col("w")).alias("row"))
+    m = edges(spark, sf).groupBy("t", "src").agg(vectors.sparse_row(F.col("dst"), F.col("w")).alias("row"))
     return m.select("t", "src", F.array_join(F.sort_array(F.map_keys("row")), ",").alias("neighbours"), F.size("row").cast("long").alias("n"))
 
 
@@ -246,12 +254,12 @@ def rel_turn_transitions(spark, sf):
     return c.select("role", F.lead("role").over(Window.partitionBy("conv_id").orderBy("turn")).alias("nxt")).where("nxt is not null").groupBy("role", "nxt").agg(F.count(F.lit(1)).alias("n"))
 
 
-_VEC = "list_transform(embedding[1:4], lambda x: CAST(x AS DOUBLE))"
+_VEC = "list_transform(embedding, lambda x: CAST(x AS DOUBLE))"
 
 
 @query("fn_vectors", f"SELECT vec_id, round(list_dot_product(v, v), 6) AS dot, round(sqrt(list_dot_product(v, v)), 6) AS norm, round(exp(v[1] - list_max(v)) / list_sum(list_transform(v, lambda x: exp(x - list_max(v)))), 6) AS first_share, CAST(list_position(v, list_max(v)) - 1 AS BIGINT) AS best, round(greatest(v[2], 0), 6) + 0.0 AS relu1 FROM (SELECT vec_id, {_VEC} AS v FROM embeddings)")
 def fn_vectors(spark, sf):
-    v = tables.load(spark, sf, "embeddings").select("vec_id", F.transform(F.slice("embedding", 1, 4), lambda x: x.cast("double")).alias("v"))
+    v = tables.load(spark, sf, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
     return v.select("vec_id", F.round(vectors.vec_dot(F.col("v"), F.col("v")), 6).alias("dot"), F.round(vectors.l2_norm(F.col("v")), 6).alias("norm"), F.round(F.get(vectors.softmax(F.col("v")), F.lit(0)), 6).alias("first_share"), vectors.argmax(F.col("v")).alias("best"), (F.round(F.get(vectors.vec_relu(F.col("v")), F.lit(1)), 6) + 0.0).alias("relu1"))
 
 

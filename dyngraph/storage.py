@@ -13,6 +13,8 @@ from pyspark.sql import DataFrame, SparkSession
 _CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 _OWN: dict[str, list[str]] = {}
 _TABLES: dict[str, str] = {}
+_BYTES: dict[str, int] = {}
+_PEAK = [0]
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -43,6 +45,7 @@ def written(df: DataFrame, tag: str, partition_by: list[str] | None = None) -> D
         (df.write.partitionBy(*partition_by) if partition_by else df.write).parquet(path)
     finally:
         spark.conf.set(_CLEANUP, was)
+    _weigh(spark, path)
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -54,6 +57,7 @@ def laid_out(df: DataFrame, tag: str, key: str, parts: int, partition_by: list[s
     writer = df.repartition(parts, key).write.format("parquet").option("path", path).bucketBy(parts, key)
     (writer.partitionBy(*partition_by) if partition_by else writer).saveAsTable(name)
     _TABLES[path] = name
+    _weigh(spark, path)
     return spark.table(name)
 
 
@@ -64,9 +68,24 @@ def stored_bytes(df: DataFrame) -> int:
     return sum(p.getFileSystem(conf).getFileStatus(p).getLen() for p in paths)
 
 
+def _weigh(spark: SparkSession, path: str) -> None:
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    _BYTES[path] = p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getContentSummary(p).getLength()
+    _PEAK[0] = max(_PEAK[0], sum(_BYTES.values()))
+
+
+def peak_bytes(restart: bool = False) -> int:
+    """The most bytes of intermediates that stood at once since the last restart."""
+    peak = _PEAK[0]
+    if restart:
+        _PEAK[0] = sum(_BYTES.values())
+    return peak
+
+
 def _delete(spark: SparkSession, paths: list[str]) -> None:
     jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
     for path in paths:
+        _BYTES.pop(path, None)
         if path in _TABLES:
             spark.sql(f"DROP TABLE IF EXISTS {_TABLES.pop(path)}")
         p = jvm.org.apache.hadoop.fs.Path(path)

@@ -22,10 +22,13 @@ def stream_events(spark: SparkSession, folder: str, name: str = "events.parquet"
     return rows.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
-def drain(df: DataFrame, tag: str, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
-    """Runs a streaming query over all that is there, into Parquet in the shared folder, and reads its rows."""
+def drain(df: DataFrame, tag: str, mode: str = "append", checkpoint: str | None = None, out: str | None = None) -> DataFrame:
+    """Runs a streaming query over all that is there, into Parquet in the shared folder, and reads its rows.
+
+    With the checkpoint and folder of an earlier run it goes on where that one ended.
+    """
     spark = df.sparkSession
-    out = fresh_path(spark, tag)
+    out = out or fresh_path(spark, tag)
     q = df.writeStream.format("parquet").outputMode(mode).option("checkpointLocation", checkpoint or fresh_path(spark, f"{tag}-log")).trigger(availableNow=True).start(out)
     q.awaitTermination()
     return spark.read.schema(df.schema).parquet(out)
@@ -49,6 +52,12 @@ def sliding_edge_life(events: DataFrame, src, dst, span: int, steps: int) -> Dat
     return slid.select(t.alias("t"), "src", "dst", F.col("w_sum").alias("w")).where(F.col("t") <= steps)
 
 
+def sliding_banded_mean(events: DataFrame, src, dst, span: int, steps: int) -> DataFrame:
+    """Banded mean online: edge life over min(span, t), emitted as the watermark passes a window's last day."""
+    life = sliding_edge_life(events, src, dst, span, steps)
+    return life.withColumn("w", F.col("w") / F.least(F.lit(span).cast("long"), F.col("t")))
+
+
 def sessions(events: DataFrame, gap: str = "30 minutes") -> DataFrame:
     """(user_id, start, n): sessions of a user, closed by the watermark."""
     s = events.withWatermark("ts", "1 hour").groupBy(F.session_window("ts", gap), "user_id").agg(F.count(F.lit(1)).alias("n"))

@@ -36,6 +36,11 @@ def st_sliding_edge_life(spark, sf):
     return online.drain(online.sliding_edge_life(online.stream_events(spark, sf), *pair(), 3, 30), "sliding")
 
 
+@query("st_banded_mean", _closed("SELECT CAST(t + k AS BIGINT) AS t, src, dst, round(count(*) / least(3, CAST(t + k AS BIGINT)), 6) AS w FROM (SELECT DISTINCT t, src, dst FROM ev), range(0, 3) r(k) WHERE t + k <= 30 GROUP BY CAST(t + k AS BIGINT), t + k, src, dst"))
+def st_banded_mean(spark, sf):
+    return r6(online.drain(online.sliding_banded_mean(online.stream_events(spark, sf), *pair(), 3, 30), "banded"), ["w"], ("t", "src", "dst"))
+
+
 @query("st_session", "SELECT user_id, epoch_us(min(ts)) AS start_us, count(*) AS n FROM (SELECT *, sum(CASE WHEN gap IS NULL OR gap > 1800000000 THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT user_id, ts, event_id, epoch_us(ts) - epoch_us(lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id)) AS gap FROM events)) GROUP BY user_id, s HAVING max(ts) + INTERVAL 30 MINUTE <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events)")
 def st_session(spark, sf):
     return online.drain(online.sessions(online.stream_events(spark, sf)), "sessions")
@@ -64,7 +69,7 @@ def st_online_diff(spark, sf):
     """Differences of the user graph from a stream of its links; the last removal of a pair is not known to a stream yet."""
     online.with_rocksdb(spark)
     folder = fresh_path(spark, "flow")
-    tables.graph(spark, sf, "user_flow").edges.select("t", "src", "dst").coalesce(1).write.parquet(folder)
+    tables.graph(spark, sf, "user_flow").edges.select("t", "src", "dst").write.parquet(folder)
     flow = spark.readStream.schema(online.FLOW).parquet(folder)
     return online.drain(online.online_difference(flow, 30), "difference")
 
@@ -74,14 +79,15 @@ _ST = ["h0", "h1", "c0", "c1"]
 
 @query("st_online_lstm", O.sql(*O.graph(N), "xs AS (SELECT t, v, x0 / 10.0::DOUBLE AS x0, x1 / 10.0::DOUBLE AS x1 FROM x)", O.lstm("xs", recur.lstm_params(2, 2), "r"), final=O.rounded(_ST) + " FROM r WHERE t > 0"))
 def st_online_lstm(spark, sf):
-    """States of every vertex from two files of frames, in the order of their steps, one a micro-batch."""
+    """States of every vertex from frames that arrive in two parts; the second run goes on from the first one's checkpoint."""
     online.with_rocksdb(spark)
-    folder = fresh_path(spark, "frames")
+    folder, log, out = (fresh_path(spark, tag) for tag in ("frames", "lstm-log", "lstm"))
     x = _scaled(snapshots.degree_features(tables.graph(spark, sf, N)))
     for lo, hi in ((1, 40), (41, 80)):
-        x.df.where(F.col("t").between(lo, hi)).coalesce(1).write.mode("append").parquet(folder)
-    frames = spark.readStream.schema("t long, v long, x0 double, x1 double").option("maxFilesPerTrigger", 1).parquet(folder)
-    return r6(online.drain(online.online_lstm(frames, recur.lstm_params(2, 2), x.cols), "lstm"), _ST)
+        x.df.where(F.col("t").between(lo, hi)).write.mode("append").parquet(folder)
+        frames = spark.readStream.schema("t long, v long, x0 double, x1 double").parquet(folder)
+        states = online.drain(online.online_lstm(frames, recur.lstm_params(2, 2), x.cols), "lstm", checkpoint=log, out=out)
+    return r6(states, _ST)
 
 
 @query("st_foreach_batch", "SELECT event_id, round(value * 2, 6) AS twice FROM events")
