@@ -23,7 +23,7 @@ def main() -> None:
     from dyngraph.schema import Config, DynamicGraph
     from dyngraph.session import co_located
     from dyngraph.sources import tables
-    from dyngraph.storage import release, written
+    from dyngraph.storage import peak, release, scope, written
 
     co_located(spark)
     seconds: dict[str, float] = {}
@@ -37,7 +37,6 @@ def main() -> None:
         return out
 
     graph = timed("snapshots_cust_supp", lambda: (lambda g: DynamicGraph(written(g.edges, "edges"), written(g.vertices, "vertices"), g.T))(tables.graph(spark, SF_DIR, "cust_supp")))
-    small = (lambda g: DynamicGraph(written(g.edges, "edges"), written(g.vertices, "vertices"), g.T))(tables.graph(spark, SF_DIR, "nation_trade"))
     facts["nnz"] = graph.edges.count()
     timed("overlap", lambda: measures.run(snapshots.overlap(graph)))
     grown = timed("edge_life_3", lambda: written(smooth.edge_life(graph, 3).edges, "life"))
@@ -47,14 +46,17 @@ def main() -> None:
     facts |= {"base_bytes": costs["full_bytes"], "gd_bytes": costs["delta_bytes"], "adaptive_bytes": costs["adaptive_bytes"], "gd_ratio": costs["delta_ratio"]}
     timed("laplacian", lambda: measures.run(convolve.laplacian(graph)))
     for name in ("window_mean", "skip_lstm", "weight_lstm"):
-        m = training.DynamicModel(graph, name, Config())
-        timed(f"embedding_{name}", lambda m=m: measures.run(m.forward().df))
+        with scope(spark):
+            m = timed(f"store_{name}", lambda name=name: training.DynamicModel(graph, name, Config(blocks=1, processors=int(CPUS))).store())
+            timed(f"embedding_{name}", lambda m=m: measures.run(m.forward().df))
     facts["edges_per_s"] = round(facts["nnz_life_3"] / seconds["embedding_window_mean"])
-    pairs = written(tasks.link_dataset(small).where("split = 'train'").drop("split"), "pairs")
+    pairs = written(tasks.link_dataset(graph).where("split = 'train'").drop("split"), "pairs")
     for nb in (1, 4):
-        m = training.DynamicModel(small, "window_mean", Config(blocks=nb)).store()
-        loss, _ = timed(f"epoch_window_mean_blocks{nb}", lambda m=m: m.gradients(pairs))
-        facts[f"loss_blocks{nb}"] = round(loss, 9)
+        with scope(spark):
+            m = training.DynamicModel(graph, "window_mean", Config(blocks=nb, processors=int(CPUS))).store()
+            with peak() as most:
+                loss, _ = timed(f"epoch_window_mean_blocks{nb}", lambda m=m: m.gradients(pairs))
+            facts |= {f"loss_blocks{nb}": round(loss, 9), f"activation_bytes_blocks{nb}": most["bytes"]}
     rows = written(snapshots.degree_features(graph).df, "frames")
     timed("exchange_frames", lambda: measures.run(rows.repartition(8, F.col("v"))))
     release(spark)

@@ -74,12 +74,15 @@ def _weigh(spark: SparkSession, path: str) -> None:
     _PEAK[0] = max(_PEAK[0], sum(_BYTES.values()))
 
 
-def peak_bytes(restart: bool = False) -> int:
-    """The most bytes of intermediates that stood at once since the last restart."""
-    peak = _PEAK[0]
-    if restart:
-        _PEAK[0] = sum(_BYTES.values())
-    return peak
+@contextmanager
+def peak() -> Iterator[dict]:
+    """Measures the most bytes of intermediates that stood at once inside, beyond those that stood before (key "bytes")."""
+    base = _PEAK[0] = sum(_BYTES.values())
+    out: dict = {}
+    try:
+        yield out
+    finally:
+        out["bytes"] = _PEAK[0] - base
 
 
 def _delete(spark: SparkSession, paths: list[str]) -> None:
@@ -101,7 +104,7 @@ class Scope:
     def keep(self, df: DataFrame, tag: str | None = None) -> DataFrame:
         """df for use after the scope: the files that it reads stay; with a tag, it is written first, so that nothing else has to."""
         df = df if tag is None else written(df, tag)
-        self.kept |= {f.split("://")[-1].removeprefix("file:").rsplit("/part-", 1)[0] for f in df.inputFiles()}
+        self.kept |= {part for f in df.inputFiles() for part in f.split("/")}
         return df
 
 
@@ -116,8 +119,7 @@ def scope(spark: SparkSession) -> Iterator[Scope]:
     try:
         yield inside
     finally:
-        held = lambda path: any(path.split("://")[-1].removeprefix("file:") in k for k in inside.kept)
-        gone = [path for path in own if path not in before and not held(path)]
+        gone = [path for path in own if path not in before and path.rsplit("/", 1)[-1] not in inside.kept]
         _delete(spark, gone)
         dropped = set(gone)
         own[:] = [path for path in own if path not in dropped]

@@ -85,11 +85,10 @@ def plain_and_blocked(spark: SparkSession, sf: str, name: str = N, blocks_of=(1,
         for nb in blocks_of:
             with storage.scope(spark):
                 m = training.DynamicModel(g, model, Config(blocks=nb)).store()
-                base = storage.peak_bytes(restart=True)
-                base = storage.peak_bytes(restart=True)
                 began = time.perf_counter()
-                loss, _ = m.gradients(pairs)
-                found.append((model, nb, float(loss), (time.perf_counter() - began) * 1000, storage.peak_bytes() - base))
+                with storage.peak() as most:
+                    loss, _ = m.gradients(pairs)
+                found.append((model, nb, float(loss), (time.perf_counter() - began) * 1000, most["bytes"]))
         limit = budget if budget is not None else found[0][4] * 3 // 4
         rows += [(*r, r[4] <= limit) for r in found]
     return spark.createDataFrame(rows, "model string, blocks int, loss double, ms double, peak_bytes long, fits boolean")

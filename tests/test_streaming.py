@@ -1,0 +1,52 @@
+"""Streams: late and out-of-order events, and a run that goes on from a checkpoint."""
+
+import datetime as dt
+import time
+
+from pyspark.sql import functions as F
+
+from dyngraph.streaming import online
+
+DAY = dt.datetime(2024, 1, 1)
+
+
+def put(spark, folder, rows, name):
+    """One file of events (event_id, hours since the start, user_id, value)."""
+    events = [(i, DAY + dt.timedelta(hours=h), u, "view", float(v), "{}") for i, h, u, v in rows]
+    spark.createDataFrame(events, online.EVENTS).coalesce(1).write.parquet(f"{folder}/{name}")
+    time.sleep(1.1)  # files are taken in the order of their times
+
+
+def stream(spark, folder):
+    return online.stream_events(spark, f"{folder}/*", "*.parquet")
+
+
+def test_late_events(spark, tmp_path):
+    """An event behind the watermark counts no more; one that comes out of order before it does."""
+    src, dst = F.col("user_id"), F.col("value").cast("long")
+    put(spark, tmp_path, [(1, 1, 7, 1), (2, 25, 7, 1), (3, 50, 7, 2)], "a")  # the watermark is hour 49 now
+    put(spark, tmp_path, [(4, 2, 7, 5), (5, 49.5, 7, 2), (6, 100, 7, 3)], "b")  # 4 is late, 5 only out of order
+    put(spark, tmp_path, [(7, 130, 7, 4)], "c")
+    got = {tuple(r) for r in online.drain(online.tumbling_snapshots(stream(spark, tmp_path), src, dst), "late").collect()}
+    assert got == {(1, 7, 1, 1), (2, 7, 1, 1), (3, 7, 2, 2), (5, 7, 3, 1)}
+
+
+def test_banded_mean_over_days(spark, tmp_path):
+    src, dst = F.col("user_id"), F.col("value").cast("long")
+    put(spark, tmp_path, [(i, 24 * d + 1, 7, 1) for i, d in enumerate((0, 1, 3))], "a")
+    put(spark, tmp_path, [(9, 24 * 12, 8, 1)], "b")
+    put(spark, tmp_path, [(10, 24 * 13, 8, 1)], "c")
+    got = {(r["t"], round(r["w"], 9)) for r in online.drain(online.sliding_banded_mean(stream(spark, tmp_path), src, dst, 3, 30), "banded").where("src = 7").collect()}
+    assert got == {(1, 1.0), (2, 1.0), (3, round(2 / 3, 9)), (4, round(2 / 3, 9)), (5, round(1 / 3, 9)), (6, round(1 / 3, 9))}
+
+
+def test_restart(spark, tmp_path):
+    """A second run reads only what came after the first, and knows its open days."""
+    src, dst = F.col("user_id"), F.col("value").cast("long")
+    out, log = str(tmp_path / "out"), str(tmp_path / "log")
+    folder = tmp_path / "in"
+    run = lambda: {tuple(r) for r in online.drain(online.tumbling_snapshots(stream(spark, folder), src, dst), "x", checkpoint=log, out=out).collect()}
+    put(spark, folder, [(1, 1, 7, 1), (2, 30, 7, 1)], "a")
+    assert run() == {(1, 7, 1, 1)}
+    put(spark, folder, [(3, 31, 7, 1), (4, 80, 7, 2)], "b")
+    assert run() == {(1, 7, 1, 1), (2, 7, 1, 2)}
