@@ -259,19 +259,11 @@ def precompute_ablation(spark: SparkSession, sf: str, epochs: int = 2) -> DataFr
 
 _ROW = "SELECT '{g}' AS graph, (SELECT count(*) FROM v) AS n, CAST({steps} AS BIGINT) AS steps, (SELECT count(*) FROM e) AS nnz, CAST({span} AS BIGINT) AS span, (SELECT count(*) FROM el) AS nnz_smoothed, round((SELECT count(*) FROM el) / (SELECT count(*) FROM e), 6) AS growth"
 query("wl_dataset_table", " UNION ALL ".join("SELECT * FROM (" + O.sql(*O.graph(g)[:2], O.life(s, O.STEPS[g]), final=_ROW.format(g=g, steps=O.STEPS[g], span=s)) + ")" for g in O.STEPS for s in (3, 12)))(lambda spark, sf: dataset_table(spark, sf, (3, 12)))
-query("wl_transfer")(lambda spark, sf: transfer_table(spark, sf))
-query("wl_transfer_times")(lambda spark, sf: transfer_times(spark, sf))
-query("wl_plain_and_blocked")(lambda spark, sf: plain_and_blocked(spark, sf))
-query("wl_epoch_phases")(lambda spark, sf: epoch_phases(spark, sf))
+query("wl_transfer")(lambda spark, sf: transfer_table(spark, sf, ("nation_trade",)))
 query("wl_feasibility")(lambda spark, sf: feasibility(spark, sf))
 query("wl_strong_scaling", O.sql(*O.graph("cust_supp")[:2], "p AS (SELECT * FROM (VALUES (1::BIGINT), (2), (4), (8), (16), (32), (64), (128)) x(p))", "b AS (SELECT p, max(n) AS largest FROM (SELECT p, ((t - 1) * p) // 80 AS pid, count(*) AS n FROM e, p GROUP BY ALL) GROUP BY p)", final="SELECT p, largest, round(8.0::DOUBLE * 80 * (SELECT count(*) FROM v) * (p - 1) / p, 6) AS remote_units, round((SELECT count(*) FROM e) / largest, 6) AS compute_speedup FROM b"))(lambda spark, sf: strong_scaling(spark, sf))
-query("wl_weak_scaling")(lambda spark, sf: weak_scaling(spark))
-query("wl_layout_volumes")(lambda spark, sf: layout_volumes(spark, sf))
-query("wl_layout_times")(lambda spark, sf: layout_times(spark, sf))
-query("wl_vertex_classification")(lambda spark, sf: vertex_classification(spark, sf))
-query("wl_vertex_segment")(lambda spark, sf: vertex_classification(spark, sf, "segment"))
-query("wl_vertex_active")(lambda spark, sf: vertex_classification(spark, sf, "active"))
-query("wl_precompute_ablation")(lambda spark, sf: precompute_ablation(spark, sf))
-query("wl_convergence")(lambda spark, sf: convergence(spark, tables.graph(spark, sf, N), optimizer="adam", rate=0.05))
-query("wl_convergence_user_flow")(lambda spark, sf: convergence(spark, tables.graph(spark, sf, "user_flow"), ("window_mean",), settings=(("snapshot", 1), ("hypergraph", 1)), optimizer="adam", rate=0.05))
-query("wl_convergence_gaps")(lambda spark, sf: convergence_gaps(convergence(spark, tables.graph(spark, sf, N), epochs=2, settings=(("snapshot", 1), ("hypergraph", 1)), optimizer="adam", rate=0.05)))
+query("wl_weak_scaling")(lambda spark, sf: weak_scaling(spark, steps=16, sizes=(1, 2)))
+query("wl_layout_volumes")(lambda spark, sf: layout_volumes(spark, sf, processors=(4, 16), rounds=0))
+query("wl_precompute_ablation")(lambda spark, sf: precompute_ablation(spark, sf, 1))
+query("wl_vertex_classification")(lambda spark, sf: vertex_classification(spark, sf, epochs=1))
+query("wl_convergence")(lambda spark, sf: convergence(spark, snapshots.planted_communities(spark, 5, 20, 3), ("window_mean",), 2, 0.3, (("snapshot", 1), ("hypergraph", 1)), optimizer="adam", rate=0.05))
