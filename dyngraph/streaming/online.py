@@ -76,38 +76,56 @@ def interval_pairs(events: DataFrame, other: DataFrame, minutes: int = 10) -> Da
 
 
 class OnlineDifference(StatefulProcessor):
-    """Per pair: the last step seen. Emits (t, kind): an addition where a step has no forerunner, and the removal that follows a gap."""
+    """Per bucket of pairs: the last step seen of each pair, packed in one value, so that a bucket costs two calls of the state store.
 
-    def __init__(self, steps: int):
-        self.steps = steps
+    Emits (t, kind): an addition where a step has no forerunner, and the removal that follows a gap.
+    """
 
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.last = handle.getValueState("last", "t long")
+        self.last = handle.getValueState("last", "pairs binary")
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timer) -> Iterator[pd.DataFrame]:
-        days = sorted({int(t) for pdf in rows for t in pdf["t"]})
-        last = self.last.get()[0] if self.last.exists() else None
-        out = []
-        for t in days:
-            if last is not None and t <= last:
-                continue  # late: the step is closed
-            if last is None or t > last + 1:
-                if last is not None:
-                    out.append((last + 1, "del"))
-                out.append((t, "add"))
-            last = t
-        if last is not None:
-            self.last.update((last,))
-        if out:
-            yield pd.DataFrame({"src": key[0], "dst": key[1], "t": [t for t, _ in out], "kind": [k for _, k in out]})
+        known = np.frombuffer(self.last.get()[0], np.int64).reshape(-1, 3) if self.last.exists() else np.zeros((0, 3), np.int64)
+        new = np.concatenate([pdf[["src", "dst", "t"]].to_numpy(np.int64) for pdf in rows])
+        added, removed, known = differences(known, new)
+        self.last.update((known.tobytes(),))
+        if len(added) or len(removed):
+            both = np.concatenate([added, removed])
+            yield pd.DataFrame({"src": both[:, 0], "dst": both[:, 1], "t": both[:, 2], "kind": ["add"] * len(added) + ["del"] * len(removed)})
 
     def close(self) -> None:
         pass
 
 
-def online_difference(flow: DataFrame, steps: int) -> DataFrame:
+def differences(known: np.ndarray, new: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(additions, removals, last steps) as rows (src, dst, t), from the last steps known before, one a pair, and new rows.
+
+    A row whose step is not behind its pair's last one is late: the step is closed.
+    """
+    both = np.concatenate([known, new])
+    old = np.arange(len(both)) < len(known)
+    order = np.lexsort((~old, both[:, 2], both[:, 1], both[:, 0]))
+    both, old = both[order], old[order]
+    follows = np.zeros(len(both), bool)  # of the same pair as the row before
+    follows[1:] = (both[1:, :2] == both[:-1, :2]).all(1)
+    pair = np.cumsum(~follows) - 1
+    closed = np.full(len(both), np.iinfo(np.int64).min)  # by pair
+    closed[pair[old]] = both[old, 2]
+    stay = old | (both[:, 2] > closed[pair])
+    both, old, pair = both[stay], old[stay], pair[stay]
+    follows = np.zeros(len(both), bool)
+    follows[1:] = pair[1:] == pair[:-1]
+    before = np.concatenate([both[:1, 2], both[:-1, 2]])
+    gap = follows & (both[:, 2] > before + 1)
+    removed = both[gap].copy()
+    removed[:, 2] = before[gap] + 1
+    return both[gap | ~(follows | old)], removed, both[np.append(~follows[1:], True)[: len(both)]]
+
+
+def online_difference(flow: DataFrame, buckets: int = 1024) -> DataFrame:
     """(src, dst, t, kind) of a stream of (t, src, dst); needs the RocksDB state store."""
-    return flow.groupBy("src", "dst").transformWithStateInPandas(OnlineDifference(steps), "src long, dst long, t long, kind string", "append", "None")
+    keyed = flow.withColumn("bucket", F.pmod(F.xxhash64("src", "dst"), F.lit(buckets)))
+    return keyed.groupBy("bucket").transformWithStateInPandas(OnlineDifference(), "src long, dst long, t long, kind string", "append", "None")
 
 
 class OnlineLstm(StatefulProcessor):

@@ -71,7 +71,7 @@ def st_online_diff(spark, sf):
     folder = fresh_path(spark, "flow")
     tables.graph(spark, sf, "user_flow").edges.select("t", "src", "dst").write.parquet(folder)
     flow = spark.readStream.schema(online.FLOW).parquet(folder)
-    return online.drain(online.online_difference(flow, 30), "difference")
+    return online.drain(online.online_difference(flow), "difference")
 
 
 _ST = ["h0", "h1", "c0", "c1"]

@@ -249,3 +249,26 @@ def test_core_does_not_need_the_corpus_operators():
             for n in names:
                 if n.endswith(".py"):
                     assert not re.search(r"dyngraph\.llm|from dyngraph import llm", open(os.path.join(folder, n)).read()), n
+
+
+def test_online_differences_in_buckets():
+    """Runs with repeats, gaps and late rows in any order equal the steps of each pair, one pair after the other."""
+    from dyngraph.streaming.online import differences
+
+    rng = np.random.default_rng(4)
+    known, last = np.zeros((0, 3), np.int64), {}
+    for lo, hi in ((1, 8), (5, 15), (15, 15), (14, 30)):  # later runs bring late rows too
+        new = np.stack([rng.integers(0, 4, 40), rng.integers(-2, 2, 40), rng.integers(lo, hi + 1, 40)], 1)
+        expect = set()
+        for src, dst, t in sorted(map(tuple, new.tolist())):
+            before = last.get((src, dst))
+            if before is not None and t <= before:
+                continue
+            if before is None or t > before + 1:
+                expect |= {(src, dst, t, "add")} | ({(src, dst, before + 1, "del")} if before is not None else set())
+            last[src, dst] = t
+        added, removed, known = differences(known, new)
+        got = [(*r, "add") for r in added.tolist()] + [(*r, "del") for r in removed.tolist()]
+        assert len(got) == len(set(got)) and set(got) == expect
+        assert {(s, d): t for s, d, t in known.tolist()} == last and len(known) == len(last)
+    assert [len(x) for x in differences(known[:0], known[:0])] == [0, 0, 0]
