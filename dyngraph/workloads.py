@@ -163,16 +163,16 @@ def exchanged_width(model: str, hidden: int = 6, layers: int = 2, features: int
 
 def layout_volumes(spark: SparkSession, sf: str, name: str = "cust_supp", processors=(4, 16, 64), span: int = 6, rounds: int = 2) -> DataFrame:
     """(model, p, snapshot_floats, vertex_floats) an epoch: redistributed frames against frames shipped for the convolutions of refined owners."""
-    raw = fixed(tables.graph(spark, sf, name))
-    n, rows = raw.vertices.count(), []
-    for model, how in INPUTS.items():
-        for p in processors:
-            with storage.scope(spark):
-                g = smoothed(raw, how, span)
-                owner = partition.by_vertex_hypergraph(g, p, rounds=rounds)[0] if rounds else partition.by_vertex_uniform(g, p)
-                # the first convolution's product is stored, the second one ships the hidden frames there and their gradients back
-                shipped = partition.volume_vertex(g, owner).first()["lambda_remote"] * 6 * 2
-                rows.append((model, p, 2.0 * exchanged_width(model) * raw.T * n * (p - 1) / p, float(shipped)))
+    edges = written(tables.graph(spark, sf, name).edges, "edges")
+    raw = DynamicGraph(edges, written(snapshots.vertex_index(edges), "vertices"), O.STEPS[name])
+    n, spans = raw.vertices.count(), {model: 1 if how == "raw" else span for model, how in INPUTS.items()}
+    kinds = [(model, p) for model in INPUTS for p in processors] if rounds else [(None, p) for p in processors]  # uniform owners are the same for all models
+    with storage.scope(spark):
+        owners = [partition.by_vertex_hypergraph(smoothed(raw, INPUTS[model], span), p, rounds=rounds)[0] if rounds else partition.by_vertex_uniform(raw, p) for model, p in kinds]
+        found = partition.volumes_smoothed(raw, owners, [p for _, p in kinds], tuple(sorted(set(spans.values())))).collect()  # a row a kind and span
+    shipped = {(*kinds[r["k"]], r["span"]): r["lambda_remote"] for r in found}
+    # the first convolution's product is stored, the second one ships the hidden frames there and their gradients back
+    rows = [(model, p, 2.0 * exchanged_width(model) * raw.T * n * (p - 1) / p, float(shipped[model if rounds else None, p, spans[model]] * 6 * 2)) for model in INPUTS for p in processors]
     return spark.createDataFrame(rows, "model string, p long, snapshot_floats double, vertex_floats double")
 
 

@@ -272,3 +272,14 @@ def test_online_differences_in_buckets():
         assert len(got) == len(set(got)) and set(got) == expect
         assert {(s, d): t for s, d, t in known.tolist()} == last and len(known) == len(last)
     assert [len(x) for x in differences(known[:0], known[:0])] == [0, 0, 0]
+
+
+def test_volumes_of_smoothed_snapshots(odd, rnd):
+    """Counting the steps of a need equals shipping over the unrolled snapshots, for both kinds of smoothing."""
+    for g in (odd, rnd):
+        kinds = [partition.by_vertex_uniform(g, 3), partition.by_vertex_hash(g, 130)]  # the second ones take three longs
+        got = {(r["k"], r["span"]): (r["lambda_all"], r["lambda_remote"]) for r in partition.volumes_smoothed(g, kinds, [3, 130], (1, 3)).collect()}
+        for k, owner in enumerate(kinds):
+            for span in (1, 3):
+                for how in (smooth.edge_life, smooth.m_transform_edges):
+                    assert got[k, span] == tuple(partition.volume_vertex(how(g, span), owner).first())
