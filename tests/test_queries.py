@@ -25,3 +25,22 @@ def test_query_equals_its_twin(spark, sf, name):
 
 def test_registry():
     assert len(catalog.queries()) >= 90 and set(catalog.oracle_sql()) <= set(catalog.queries())
+
+
+def test_reach_reads_written_pairs(spark, sf):
+    """The recursion's levels read written rows and exchange nothing; they reach what the steps' pairs say."""
+    from dyngraph.operators import measures
+    from dyngraph.sources import tables
+
+    got = catalog.queries()["rel_recursive_reach"](spark, sf)
+    plan = measures.plan_text(got)
+    assert "lineitem" not in plan and measures.plan_exchanges(got) == 0
+    pairs, now, expect = {}, {0}, [(0, 1)]
+    for r in tables.graph(spark, sf, "nation_trade").edges.collect():
+        pairs.setdefault(r["t"], set()).add((r["src"], r["dst"]))
+    for t in range(1, 81):
+        now = {b for a, b in pairs.get(t, ()) if a in now}
+        if not now:
+            break
+        expect.append((t, len(now)))
+    assert sorted(map(tuple, got.collect())) == expect
