@@ -152,19 +152,30 @@ def _shingler(words: int):
         for b in batches:
             sets = [shingles(t, words) for t in b.column("text").to_pylist()]
             same = pa.array([xxhash.xxh128_digest(h.tobytes()) for h in sets], pa.binary())
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), same, longs(sets), longs([_bands(h) for h in sets])], names=["doc_id", "same", "parts", "keys"])
+            fp = pa.array(np.array([fingerprint(t, words) for t in b.column("text").to_pylist()], np.uint64).view(np.int64))
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), same, fp, longs(sets), longs([_bands(h) for h in sets])], names=["doc_id", "same", "fp", "parts", "keys"])
 
     return shingle
 
 
+def printed_pairs(sets: DataFrame) -> DataFrame:
+    """Pairs (u, v) of sets (id, fp) that the tiles link: each with the first set of its fingerprint, and the first sets of linked fingerprints."""
+    first = written(sets.groupBy("fp").agg(F.min("id").alias("first")), "first-sets")
+    side = lambda fp, i: first.select(F.col("fp").alias(fp), F.col("first").alias(i))
+    found = links(first.select("fp")).withColumnsRenamed({"u": "a", "v": "b"}).join(side("a", "x"), "a").join(side("b", "y"), "b").select("x", "y")
+    found = found.unionByName(sets.join(first, "fp").where("id <> first").select(F.col("id").alias("x"), F.col("first").alias("y")))
+    return found.select(F.greatest("x", "y").alias("u"), F.least("x", "y").alias("v"))
+
+
 def similar_documents(docs: DataFrame, words: int = 5, similarity: float = 0.8) -> DataFrame:
     """(doc_id, component_id) for each row: components of the documents whose sets of word shingles have that Jaccard similarity.
 
-    Candidates share a MinHash band, the sets decide. Each bucket's rows are compared with one of them, another in each
+    Candidates are those whose SimHashes the tiles link at RADIUS bits, and those that share a MinHash band, as the
+    SimHashes of most pairs at the similarity differ in more bits; the sets decide. Each bucket's rows are compared with one of them, another in each
     band, and then all pairs that these links leave in different groups. Texts without words are alike.
     """
-    rows = written(docs.select("doc_id", "text").mapInArrow(_shingler(words), "doc_id long, same binary, parts array<long>, keys array<long>"), "shingles")
-    sets = rows.groupBy("same").agg(F.min("doc_id").alias("least"), F.first("parts").alias("parts"), F.first("keys").alias("keys"))
+    rows = written(docs.select("doc_id", "text").mapInArrow(_shingler(words), "doc_id long, same binary, fp long, parts array<long>, keys array<long>"), "shingles")
+    sets = rows.groupBy("same").agg(F.min("doc_id").alias("least"), F.min("fp").alias("fp"), F.first("parts").alias("parts"), F.first("keys").alias("keys"))
     sets = written(sets.select(F.monotonically_increasing_id().alias("id"), "*"), "shingle-sets")
     size = F.size("parts").alias("size")
     spread = sets.select("id", size, F.explode("keys").alias("key"))
@@ -178,7 +189,8 @@ def similar_documents(docs: DataFrame, words: int = 5, similarity: float = 0.8)
     lead = spread.groupBy("key").agg(F.min_by(F.struct("id", "size"), F.xxhash64("id", "key")).alias("l"), F.count(F.lit(1)).alias("n")).where("n > 1")
     lead = lead.select("key", F.col("l.id").alias("v"), F.col("l.size").alias("other"))
     stars = spread.withColumnRenamed("id", "u").join(lead, "key").where((F.col("u") != F.col("v")) & close(F.col("size"), F.col("other")))
-    stars = written(verified(stars.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))), "document-stars")
+    stars = stars.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).unionByName(printed_pairs(sets.select("id", "fp")))
+    stars = written(verified(stars), "document-stars")
     rooted = spread.join(components(stars, "documents").withColumnRenamed("node", "id"), "id", "left").withColumn("root", F.coalesce("root", "id"))
     mixed = rooted.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("key")
     rooted = written(rooted.join(mixed, "key", "left_semi"), "document-buckets")

@@ -62,3 +62,21 @@ def test_near_copies_go(spark):
     assert sum(root[60 + i] == root[i] for i in range(60)) > 20
     got = corpus_pipeline.drop_near_duplicates(spark, spark.createDataFrame(rows, "doc_id long, text string"), "")
     assert {r["doc_id"] for r in got.collect()} == expect
+
+
+def test_fingerprints_find_near_copies(spark):
+    """The document stage's SimHash tiles alone give the pairs of a long text and its copies, equal fingerprints included."""
+    from dyngraph.llm import simhash_tiles
+
+    rng = random.Random(3)
+    word = lambda: "".join(rng.choice("abcdefghij") for _ in range(rng.randint(2, 8)))
+    words = [word() for _ in range(3000)]
+    texts = [words, words[:-1] + ["altered"], [word() for _ in range(3000)], words]
+    prints = [simhash_tiles.fingerprint(" ".join(w), 5) for w in texts]
+    assert (prints[0] ^ prints[1]).bit_count() <= 3 < (prints[0] ^ prints[2]).bit_count()
+    signed = [x - (1 << 64) if x >> 63 else x for x in prints]
+    pairs = simhash_tiles.printed_pairs(spark.createDataFrame(list(enumerate(signed)), "id long, fp long")).collect()
+    group = {0}
+    for _ in pairs:
+        group |= {i for p in pairs for i in p if set(p) & group}
+    assert group == {0, 1, 3}
