@@ -1,11 +1,13 @@
 """Brown class-based bigrams: exchange clustering, class transitions and word emissions, smoothed.
 
 All counts cover the whole training part of the corpus. The most frequent `types` words are put into classes by
-exchange: each word in turn moves to the class that raises the likelihood of the class bigrams most. The others of the
-`held` most frequent words follow in parallel, each into the class that raises it most against the counts of those
-classes; rarer words have classes by their written form. A text's probability is the product over its tokens of class given class before
-and word given class. What a worker holds is bounded: the counts of `held` frequent words; the counts of the rarer
-words of a text are joined.
+exchange: each word in turn moves to the class that raises the likelihood of the class bigrams most. All other words
+follow in parallel, each into the class that raises it most against the counts of those classes. A text's probability is
+the product over its tokens of class given class before and word given class. Words without a training token have
+classes by their written form, with the counts of the words that training has once. What a worker holds is bounded: the
+counts and classes of `held` frequent words; those of the rarer words of a text are joined.
+
+train() and score() are the smaller model, in which words beyond the `held` have classes by their written form too.
 """
 
 from __future__ import annotations
@@ -19,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from dyngraph.llm.common import written
+from dyngraph.llm.common import scope, written
 from dyngraph.llm.quality_ftrl import held_out
 
 END = "\n"  # the end token: no word holds white space
@@ -29,6 +31,7 @@ ROUNDS = 4
 HELD = 200_000
 FLUSH = 300_000
 FORMS = 8
+HOLE = (1 << 16) - 1
 _marks = frozenset(string.punctuation.encode())
 _cache: dict = {}
 
@@ -149,13 +152,18 @@ def exchange(pairs: np.ndarray, movable: int, classes: int = CLASSES, rounds: in
     return of
 
 
-def best_class(before: np.ndarray, after: np.ndarray, m: np.ndarray, classes: int) -> int:
-    """The class whose bigram likelihood a word raises most, by its counts of classes before and after it; ties to the lower class."""
-    f = _xlogx(m[:classes])
-    gain = (_xlogx(m[:classes] + after) - f).sum(1) + (_xlogx(m[:, :classes].T + before) - _xlogx(m[:, :classes].T)).sum(1)
-    for own, more in ((m.sum(1)[:classes], after.sum()), (m.sum(0)[:classes], before.sum())):
-        gain -= _xlogx(own + more) - _xlogx(own)
-    return int(np.argmax(gain))
+def best_classes(starts: np.ndarray, at: np.ndarray, n: np.ndarray, m: np.ndarray, classes: int) -> np.ndarray:
+    """The class whose bigram likelihood each word raises most; ties to the lower class.
+
+    A word's entries begin at `starts`: n times it stands behind class `at`, or before class `at` less the width of m.
+    """
+    behind = at < len(m)
+    cell = np.concatenate([m[:, :classes], m[:classes].T])
+    gain = np.add.reduceat(_xlogx(cell[at] + n[:, None]) - _xlogx(cell)[at], starts)
+    for own, side in ((m.sum(1)[:classes], ~behind), (m.sum(0)[:classes], behind)):
+        more = np.add.reduceat(n * side, starts)
+        gain -= _xlogx(own + more[:, None]) - _xlogx(own)
+    return gain.argmax(1)
 
 
 def _vocabulary(shipped, key: str) -> dict:
@@ -172,8 +180,8 @@ def _vocabulary(shipped, key: str) -> dict:
     return _cache
 
 
-def _classes(texts: list, held: dict, classes: int) -> tuple[np.ndarray, np.ndarray]:
-    """(ids, -1 for rare words; classes) of all tokens of some texts in a row."""
+def _classes(texts: list, held: dict, classes: int) -> tuple[list[bytes], np.ndarray, np.ndarray]:
+    """(tokens; ids, -1 for rare words; classes) of all tokens of some texts in a row."""
     flat: list[bytes] = []
     for t in texts:
         flat += tokens(t)
@@ -182,50 +190,93 @@ def _classes(texts: list, held: dict, classes: int) -> tuple[np.ndarray, np.ndar
     cls = held["known"][at]
     rare = np.flatnonzero(at < 0)
     cls[rare] = [classes + form(flat[i]) for i in rare.tolist()]
-    return at, cls
+    return flat, at, cls
+
+
+def _lists(cells: np.ndarray, n: np.ndarray, per: int) -> tuple[np.ndarray, pa.ListArray]:
+    """(rows that occur, their cells as n * per + place) of sorted cells row * per + place."""
+    rows, starts = np.unique(cells // per, return_index=True)
+    return rows, pa.ListArray.from_arrays(pa.array(np.append(starts, len(cells)), pa.int32()), pa.array(n.astype(np.int64) * per + cells % per))
 
 
-def _neighbours(shipped, key: str):
-    """Counts by cell: (word, class before or width + class after) of the held words that have no learnt class yet."""
+def _neighbours(shipped, key: str, rare: bool):
+    """(word, token, near) of the words that have no learnt class yet: held ones by id, with `rare` the others by token.
+
+    near: counts by place (class before, or width + class after), as count * 2 * width + place.
+    """
 
     def count(batches):
         held, m = _vocabulary(shipped, key), shipped.value
-        k, width = len(m["class"]), m["classes"] + FORMS + 1
+        k, per = len(m["class"]), 2 * (m["classes"] + FORMS + 1)
         rest = len(held["words"]) - k
-        total = np.zeros(rest * 2 * width, np.int32)
+        total = np.zeros(rest * per, np.int32)
+        others: dict = {}
+        waiting: list = []
+
+        def found(rows, near, tokens_of=None):
+            for lo in range(0, len(rows), 20_000):
+                part = rows[lo : lo + 20_000]
+                word, token = (np.full(len(part), -1), [tokens_of[i] for i in part]) if tokens_of else (part, [None] * len(part))
+                yield pa.RecordBatch.from_arrays([pa.array(word, pa.int64()), pa.array(token, pa.string()), near[lo : lo + 20_000]], names=["word", "token", "near"])
+
+        def flush():
+            if others:
+                cells, n = np.unique(np.concatenate(waiting), return_counts=True)
+                yield from found(*_lists(cells, n, per), [w.decode() for w in others])
+            others.clear()
+            waiting.clear()
+
         for b in batches:
             texts = b.column("text").to_pylist()
             for lo in range(0, len(texts), 512):
-                at, cls = _classes(texts[lo : lo + 512], held, m["classes"])
+                flat, at, cls = _classes(texts[lo : lo + 512], held, m["classes"])
+                cls = np.append(cls, per // 2 - 1)  # also the class before the first token
                 here = np.flatnonzero((at >= k) & (at < k + rest))
-                row = (at[here] - k) * 2 * width
-                before = np.where(here > 0, cls[here - 1], width - 1)
-                cells, n = np.unique(np.concatenate([row + before, row + width + cls[here + 1]]), return_counts=True)
+                row = (at[here] - k) * per
+                cells, n = np.unique(np.concatenate([row + cls[here - 1], row + per // 2 + cls[here + 1]]), return_counts=True)
                 total[cells] += n.astype(np.int32)
+                here = np.flatnonzero(at < 0) if rare else here[:0]
+                row = np.fromiter((others.setdefault(flat[i], len(others)) for i in here.tolist()), np.int64, len(here)) * per
+                waiting += [row + cls[here - 1], row + per // 2 + cls[here + 1]]
+                if len(others) > FLUSH // 4:
+                    yield from flush()
+        yield from flush()
         at = np.flatnonzero(total)
-        for lo in range(0, len(at), 100_000):
-            part = at[lo : lo + 100_000]
-            yield pa.RecordBatch.from_arrays([pa.array(part), pa.array(total[part].astype(np.int64))], names=["cell", "n"])
+        if len(at):
+            yield from found(*_lists(at, total[at], per))
 
     return count
 
 
 def _placed(m: np.ndarray, classes: int):
-    """(word, class) of words by their counts."""
+    """(word, token, n, class) of words by their counts of all tasks."""
+    per = 2 * len(m)
 
     def place(batches):
         for b in batches:
-            found = []
-            for held in b.column("held").to_pylist():
-                near = np.zeros(2 * len(m))
-                for h in held:
-                    near[h["at"]] = h["n"]
-                found.append(best_class(near[: len(m)], near[len(m) :], m, classes))
-            yield pa.RecordBatch.from_arrays([b.column("word"), pa.array(found, pa.int32())], names=["word", "class"])
+            for lo in range(0, len(b), 10_000):
+                part = b.slice(lo, 10_000)
+                lists = part.column("near").flatten()
+                row = np.repeat(np.repeat(np.arange(len(part)), part.column("near").value_lengths().to_numpy()), lists.value_lengths().to_numpy())
+                near = lists.flatten().to_numpy()
+                cells, which = np.unique(row * per + near % per, return_inverse=True)
+                n = np.bincount(which, near // per, len(cells))
+                at = cells % per
+                starts = np.unique(cells // per, return_index=True)[1]
+                times = np.add.reduceat(n * (at < len(m)), starts).astype(np.int64)
+                chosen = pa.array(best_classes(starts, at, n, m, classes), pa.int32())
+                yield pa.RecordBatch.from_arrays([part.column("word"), part.column("token"), pa.array(times), chosen], names=["word", "token", "n", "class"])
 
     return place
 
 
+def _place(texts: DataFrame, model: dict, m: np.ndarray, rare: bool) -> DataFrame:
+    """(word, token, n, class) of all words behind those of the exchange, written; without `rare` of held ones only."""
+    near = texts.mapInArrow(_neighbours(texts.sparkSession.sparkContext.broadcast(model), uuid.uuid4().hex, rare), "word long, token string, near array<long>")
+    lists = near.groupBy("word", "token").agg(F.collect_list("near").alias("near"))
+    return written(lists.mapInArrow(_placed(m, model["classes"]), "word long, token string, n long, class int"), "lm-classes")
+
+
 def _transitions(shipped, key: str):
     """Counts of class bigrams, one row a task."""
 
@@ -236,7 +287,7 @@ def _transitions(shipped, key: str):
         for b in batches:
             texts = b.column("text").to_pylist()
             for lo in range(0, len(texts), 512):
-                _, cls = _classes(texts[lo : lo + 512], held, m["classes"])
+                _, _, cls = _classes(texts[lo : lo + 512], held, m["classes"])
                 x = np.concatenate([[width - 1], cls])
                 total += np.bincount(x[:-1] * width + x[1:], minlength=width * width)
         yield pa.RecordBatch.from_arrays([pa.array([total], pa.list_(pa.int64()))], names=["counts"])
@@ -244,53 +295,81 @@ def _transitions(shipped, key: str):
     return count
 
 
-def train(learn: DataFrame, types: int = TYPES, classes: int = CLASSES, held: int = HELD, rounds: int = ROUNDS, delta: float = 1.0) -> tuple[DataFrame, dict]:
-    """(counts of all tokens, model). The driver holds the `held` most frequent words and (types + FORMS + 1)^2 pair counts at most."""
+def _frequent(words: DataFrame, held: int) -> tuple[list[bytes], np.ndarray]:
+    """The `held` most frequent words and their counts; tasks send no word that is rarer than all of them."""
+    times = words.groupBy("n").agg(F.count(F.lit(1)).alias("v")).orderBy(F.desc("n")).toArrow()
+    n, upto = times["n"].to_numpy(), np.cumsum(times["v"].to_numpy())
+    least = int(n[min(np.searchsorted(upto, held), len(n) - 1)]) if len(n) else 0
+    top = words.where(F.col("n") >= least).orderBy(F.desc("n"), "token").limit(held).toArrow()
+    return [t.encode() for t in top["token"].to_pylist()], top["n"].to_numpy().astype(np.int64)
+
+
+def _start(learn: DataFrame, types: int, classes: int, held: int, rounds: int) -> tuple[DataFrame, dict, np.ndarray]:
+    """(counts of all tokens, model with the classes of the exchange, class bigrams of these).
+
+    The driver holds the `held` most frequent words and (types + FORMS + 1)^2 pair counts at most.
+    """
     texts = learn.select("text")
-    spark = learn.sparkSession
     counts = texts.mapInArrow(_count, "token string, n long").groupBy("token").agg(F.sum("n").alias("n"))
     counts = written(counts, "token-counts")
-    words = counts.where(F.col("token") != END)
-    by_form = {r["f"]: r["v"] for r in words.groupBy(form_sql(F.col("token")).alias("f")).agg(F.count(F.lit(1)).alias("v")).collect()}
     total = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.lit(1)), F.coalesce(F.sum(F.when(F.col("token") == END, F.col("n"))), F.lit(0))).first()
-    top = words.orderBy(F.desc("n"), "token").limit(held).toPandas()
-    frequent = [t.encode() for t in top["token"]]
-    n = top["n"].to_numpy(np.int64)
-    del top
+    frequent, n = _frequent(counts.where(F.col("token") != END), held)
     k = min(types, len(frequent))
-    for w in frequent:
-        by_form[form(w)] -= 1
     size = k + FORMS + 1
-    cells = texts.mapInArrow(_pairs(frequent[:k]), "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n")).toPandas()
+    cells = texts.mapInArrow(_pairs(frequent[:k]), "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
     pairs = np.zeros(size * size)
-    pairs[cells["cell"].to_numpy(np.int64)] = cells["n"]
+    pairs[cells["cell"].to_numpy()] = cells["n"].to_numpy()
     del cells
     pairs = pairs.reshape(size, size)
     of = exchange(pairs, k, classes, rounds)
-    width = classes + FORMS + 1
-    member = np.zeros((size, width))
+    member = np.zeros((size, classes + FORMS + 1))
     member[np.arange(size), of] = 1
-    m = member.T @ pairs @ member
-    model = {"words": b"\n".join(frequent), "class": of[:k], "classes": classes}
-    if len(frequent) > k:
-        near = texts.mapInArrow(_neighbours(spark.sparkContext.broadcast(model), uuid.uuid4().hex), "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n"))
-        by_word = near.groupBy(F.floor(F.col("cell") / (2 * width)).alias("word")).agg(F.collect_list(F.struct((F.col("cell") % (2 * width)).alias("at"), "n")).alias("held"))
-        found = by_word.mapInArrow(_placed(m, classes), "word long, class int").toPandas()
-        model["class"] = np.concatenate([of[:k], np.zeros(len(frequent) - k, np.int64)])
-        model["class"][k + found["word"].to_numpy(np.int64)] = found["class"]
-        rows = texts.mapInArrow(_transitions(spark.sparkContext.broadcast(model), uuid.uuid4().hex), "counts array<long>")
-        sums = rows.select(F.posexplode("counts").alias("cell", "n")).groupBy("cell").agg(F.sum("n").alias("n")).collect()
-        m = np.zeros(width * width)
-        m[[r["cell"] for r in sums]] = [r["n"] for r in sums]
-        m = m.reshape(width, width)
+    model = {"words": b"\n".join(frequent), "class": of[:k], "classes": classes, "n": n, "total": total[0], "distinct": total[1], "ends": total[2]}
+    return counts, model, member.T @ pairs @ member
+
+
+def _with_held(model: dict, placed: DataFrame) -> dict:
+    """The model with the classes of all held words."""
+    found = placed.where("word >= 0").select("word", "class").toArrow()
+    first = model["class"]
+    of = np.concatenate([first, np.zeros(len(model["n"]) - len(first), np.int64)])
+    of[len(first) + found["word"].to_numpy()] = found["class"].to_numpy()
+    return model | {"class": of}
+
+
+def _summed(rows: DataFrame, width: int) -> np.ndarray:
+    """The sum of the count arrays of all tasks, as a matrix."""
+    sums = rows.select(F.posexplode("counts").alias("cell", "n")).groupBy("cell").agg(F.sum("n").alias("n")).collect()
+    m = np.zeros(width * width)
+    m[[r["cell"] for r in sums]] = [r["n"] for r in sums]
+    return m.reshape(width, width)
+
+
+def _smoothed(m: np.ndarray, delta: float) -> tuple[np.ndarray, np.ndarray]:
+    """(tokens by class, log10 probability of class after class)."""
     seen = m.sum(0)
-    unigram = (seen + 0.5) / (seen.sum() + 0.5 * width)
-    log_t = np.log10((m + delta * unigram) / (m.sum(1, keepdims=True) + delta))
+    unigram = (seen + 0.5) / (seen.sum() + 0.5 * len(m))
+    return seen, np.log10((m + delta * unigram) / (m.sum(1, keepdims=True) + delta))
+
+
+def train(learn: DataFrame, types: int = TYPES, classes: int = CLASSES, held: int = HELD, rounds: int = ROUNDS, delta: float = 1.0) -> tuple[DataFrame, dict]:
+    """(counts of all tokens, model), with classes by written form for the words beyond the `held`."""
+    texts, spark = learn.select("text"), learn.sparkSession
+    counts, model, m = _start(learn, types, classes, held, rounds)
+    words, n, width = counts.where(F.col("token") != END), model["n"], classes + FORMS + 1
+    by_form = {r["f"]: r["v"] for r in words.groupBy(form_sql(F.col("token")).alias("f")).agg(F.count(F.lit(1)).alias("v")).collect()}
+    for w in model["words"].split(b"\n") if len(n) else []:
+        by_form[form(w)] -= 1
+    if len(n) > len(model["class"]):
+        model = _with_held(model, _place(texts, model, m, rare=False))
+        rows = texts.mapInArrow(_transitions(spark.sparkContext.broadcast(model), uuid.uuid4().hex), "counts array<long>")
+        m = _summed(rows, width)
+    seen, log_t = _smoothed(m, delta)
     inside = np.bincount(model["class"], n, width) if len(n) else np.zeros(width)
     # words by form: add-one over the types of the form and one more
     rest = np.array([seen[classes + f] + by_form.get(f, 0) + 1 for f in range(FORMS)])
     emit = np.log10(n / inside[model["class"]])
-    return counts, model | {"n": n, "emit": emit, "log_t": log_t, "log_rest": np.log10(rest), "total": total[0], "distinct": total[1], "ends": total[2]}
+    return counts, model | {"emit": emit, "log_t": log_t, "log_rest": np.log10(rest)}
 
 
 def _scorer(shipped, key: str):
@@ -347,8 +426,152 @@ def score(docs: DataFrame, counts: DataFrame, model: dict) -> DataFrame:
     return result.withColumn("perplexity", F.pow(F.lit(10.0), -F.col("score") / F.col("n_tokens")))
 
 
+def _coded(shipped, key: str):
+    """Texts as class numbers of two bytes each, HOLE for words that are not held; these, each once, as tokens with their forms and places.
+
+    A word that training has once has the number width + class * FORMS + form.
+    """
+
+    def code(batches):
+        m, held = shipped.value, _vocabulary(shipped, key)
+        ids, classes = held["ids"], m["classes"]
+        numbers = held["known"][: len(m["n"])].copy()
+        for i in np.flatnonzero(m["n"] == 1).tolist():
+            numbers[i] = classes + FORMS + 1 + numbers[i] * FORMS + form(held["words"][i])
+        numbers = np.append(numbers, HOLE).astype(np.uint16)
+        log_n, log_n1 = np.append(np.log10(m["n"]), 0), np.append(np.log10(m["n"] + 1.0), 0)
+        for b in batches:
+            for lo in range(0, len(b), 512):
+                part = b.slice(lo, 512)
+                cols: list[list] = [[] for _ in range(6)]
+                for text in part.column("text").to_pylist():
+                    ws = tokens(text)
+                    at = np.fromiter((ids.get(w, -1) for w in ws), np.int64, len(ws))
+                    rare: dict = {}
+                    places = [rare.setdefault(ws[i], len(rare)) for i in np.flatnonzero(at < 0).tolist()]
+                    values = (numbers[at].tobytes(), np.array(places, np.int32).tobytes(), bytes(map(form, rare)), [w.decode() for w in rare], float(log_n[at].sum()), float(log_n1[at].sum()))
+                    for c, v in zip(cols, values):
+                        c.append(v)
+                kinds = (pa.binary(), pa.binary(), pa.binary(), pa.list_(pa.string()), pa.float64(), pa.float64())
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("learnt"), *[pa.array(c, t) for c, t in zip(cols, kinds)]], names=["doc_id", "learnt", "codes", "places", "forms", "rare", "log_n", "log_n1"])
+
+    return code
+
+
+def _filled(classes: int):
+    """The rows of _coded with the numbers of the words that are not held, and how many of the tokens are new."""
+    width = classes + FORMS + 1
+
+    def fill(batches):
+        for b in batches:
+            lists = b.column("known")
+            ends = np.concatenate([[0], np.cumsum(lists.value_lengths().fill_null(0).to_numpy())])
+            i, n, cls = (lists.flatten().field(j).to_numpy() for j in range(3))
+            codes, new, log_n, log_n1 = [], [], b.column("log_n").to_numpy().copy(), b.column("log_n1").to_numpy().copy()
+            rows = (b.column(c).to_pylist() for c in ("codes", "places", "forms"))
+            for r, (text, places, forms) in enumerate(zip(*rows)):
+                x = np.frombuffer(text, np.uint16)
+                places = np.frombuffer(places, np.int32)
+                new.append(0)
+                if len(places):
+                    form_of = np.frombuffer(forms, np.uint8).astype(np.int64)
+                    number, times = classes + form_of, np.zeros(len(form_of))
+                    of = slice(ends[r], ends[r + 1])
+                    j = i[of]
+                    times[j] = n[of]
+                    number[j] = np.where(n[of] == 1, width + cls[of] * FORMS + form_of[j], cls[of])
+                    x = x.copy()
+                    x[x == HOLE] = number[places]
+                    here = times[places]
+                    new[-1] = int((here == 0).sum())
+                    log_n[r] += np.log10(np.maximum(here, 1)).sum()
+                    log_n1[r] += np.log10(here + 1).sum()
+                codes.append(x.tobytes())
+            yield pa.RecordBatch.from_arrays(
+                [b.column("doc_id"), b.column("learnt"), pa.array(codes, pa.binary()), pa.array(new, pa.int64()), pa.array(log_n), pa.array(log_n1)],
+                names=["doc_id", "learnt", "codes", "new", "log_n", "log_n1"],
+            )
+
+    return fill
+
+
+def _both(text: bytes, classes: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(classes of the tokens between two ends, classes that they had as new words, whether training has the word once)."""
+    width = classes + FORMS + 1
+    x = np.frombuffer(text, np.uint16).astype(np.int64)
+    x = np.concatenate([[width - 1], x, [width - 1]])
+    once = x >= width
+    return np.where(once, (x - width) // FORMS, x), np.where(once, classes + (x - width) % FORMS, x), once
+
+
+def _transitions_coded(classes: int):
+    """Counts of class bigrams, one row a task; each word that training has once counts once more as a new word of its form."""
+    width = classes + FORMS + 1
+
+    def count(batches):
+        total = np.zeros(width * width, np.int64)
+        for b in batches:
+            for text in b.column("codes").to_pylist():
+                cls, new, once = _both(text, classes)
+                a, z = once[:-1], once[1:]
+                cells = [cls[:-1] * width + cls[1:], (cls[:-1] * width + new[1:])[z], (new[:-1] * width + cls[1:])[a], (new[:-1] * width + new[1:])[a & z]]
+                total += np.bincount(np.concatenate(cells), minlength=width * width)
+        yield pa.RecordBatch.from_arrays([pa.array([total], pa.list_(pa.int64()))], names=["counts"])
+
+    return count
+
+
+def _scored_coded(classes: int, log_t: np.ndarray, log_in: np.ndarray):
+    def score(batches):
+        for b in batches:
+            size, part = [], []
+            for text in b.column("codes").to_pylist():
+                cls = _both(text, classes)[0]
+                size.append(len(cls) - 1)
+                part.append(float(log_t[cls[:-1], cls[1:]].sum() - log_in[cls[1:]].sum()))
+            keep = ["doc_id", "new", "log_n", "log_n1"]
+            yield pa.RecordBatch.from_arrays([*[b.column(c) for c in keep], pa.array(size, pa.int64()), pa.array(part)], names=[*keep, "n_tokens", "part"])
+
+    return score
+
+
+def fit(docs: DataFrame, learnt, types: int = TYPES, classes: int = CLASSES, held: int = HELD, rounds: int = ROUNDS, delta: float = 1.0) -> tuple[DataFrame, dict]:
+    """(all texts as class numbers, model) with a learnt class for every word of the texts for which the condition `learnt` holds.
+
+    The classes and counts of words that are not held meet the texts in a shuffled join on the word.
+    """
+    spark = docs.sparkSession
+    learn = docs.where(learnt)
+    counts, model, m = _start(learn, types, classes, held, rounds)
+    placed = _place(learn.select("text"), model, m, rare=True)
+    inside = np.bincount(model["class"], model["n"][: len(model["class"])], classes) if len(model["class"]) else np.zeros(classes)
+    for r in placed.groupBy("class").agg(F.sum("n").alias("n")).collect():
+        inside[r["class"]] += r["n"]
+    model = _with_held(model, placed)
+    schema = "doc_id long, learnt boolean, codes binary, places binary, forms binary, rare array<string>, log_n double, log_n1 double"
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", learnt.alias("learnt")).mapInArrow(_coded(spark.sparkContext.broadcast(model), uuid.uuid4().hex), schema)
+    rows = written(rows.withColumn("row", F.monotonically_increasing_id()), "lm-rows")
+    # a word has one class, so the join adds no rows
+    words = rows.select("row", F.posexplode("rare").alias("i", "token")).join(placed.where("word < 0").select("token", "n", "class"), "token")
+    known = words.groupBy("row").agg(F.collect_list(F.struct("i", "n", "class")).alias("known"))
+    filled = rows.drop("rare").join(known, "row", "left").drop("row").mapInArrow(_filled(classes), "doc_id long, learnt boolean, codes binary, new long, log_n double, log_n1 double")
+    filled = written(filled, "lm-filled")
+    bigrams = filled.where("learnt").select("codes").mapInArrow(_transitions_coded(classes), "counts array<long>")
+    seen, log_t = _smoothed(_summed(bigrams, classes + FORMS + 1), delta)
+    # new words: as many of a form as training has once, and one more
+    log_in = np.log10(np.concatenate([np.maximum(inside, 1), seen[classes : classes + FORMS] + 1, [1]]))
+    return filled, model | {"log_t": log_t, "log_in": log_in}
+
+
 def evaluate(docs: DataFrame, **options) -> DataFrame:
-    """Learns from the documents outside the held-out fold (a null doc_id is not learnt from) and scores all."""
-    counts, model = train(docs.where(F.col("doc_id").isNotNull() & ~held_out(7, 2)), **options)
-    scored = score(docs, counts, model)
-    return scored.select("doc_id", held_out(7, 2).alias("held_out"), *scored.columns[1:])
+    """Learns from the documents outside the held-out fold (a null doc_id is not learnt from) and scores all; null texts are the end token only."""
+    with scope(docs.sparkSession) as inner:
+        filled, m = fit(docs, F.col("doc_id").isNotNull() & ~held_out(7, 2), **options)
+        inner.keep(filled)
+    rows = filled.mapInArrow(_scored_coded(m["classes"], m["log_t"], m["log_in"]), "doc_id long, new long, log_n double, log_n1 double, n_tokens long, part double")
+    share = float(np.log10(m["total"] + m["distinct"] + 1))
+    result = rows.select(
+        "doc_id", held_out(7, 2).alias("held_out"), "n_tokens", (F.col("n_tokens") - F.col("new") - (0 if m["ends"] else 1)).alias("n_known"), F.lit(int(m["total"])).cast("long").alias("train_tokens"),
+        (F.col("log_n1") - F.lit(share) * F.col("n_tokens") + F.lit(float(np.log10(m["ends"] + 1)))).alias("base_score"), (F.col("part") + F.col("log_n")).alias("score"),
+    )
+    return result.withColumn("perplexity", F.pow(F.lit(10.0), -F.col("score") / F.col("n_tokens")))
