@@ -15,36 +15,46 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from dyngraph.llm.common import block_masks, components, masked, written
+from dyngraph.llm.common import block_masks, checked, components, masked, scope, written
 
 SHINGLE = 3
 RADIUS = 3
 TILE = 1024
+BROADCAST_ROWS = 200_000
 _LANES = np.uint64(0x0101010101010101)
 
 
-def fingerprint(text: str | None, words: int = SHINGLE) -> int:
-    """64-bit SimHash of the word shingles of the whole text, repeats included; zero where there is no word."""
+def _hashes(text: str | None, words: int) -> np.ndarray:
+    """Hashes of the word shingles of the whole text, repeats included; of all words if there are fewer, none if there is no word."""
     parts = (text or "").encode("utf-8", "replace").lower().split()
     if not parts:
-        return 0
+        return np.zeros(0, np.uint64)
     line = b" ".join(parts)
     ends = np.cumsum(np.fromiter(map(len, parts), np.int64, len(parts)) + 1) - 1
     starts = np.concatenate([[0], ends[:-1] + 1])
     n = max(len(parts) - words + 1, 1)
     stops = ends[words - 1 :] if len(parts) >= words else ends[-1:]
     digest = xxhash.xxh64_intdigest
-    h = np.array([digest(line[a:b], 42) for a, b in zip(starts[:n].tolist(), stops.tolist())], np.uint64)
+    return np.array([digest(line[a:b], 42) for a, b in zip(starts[:n].tolist(), stops.tolist())], np.uint64)
+
+
+def _majority(h: np.ndarray) -> int:
+    """The bits set in more than half of the hashes."""
     counts = np.zeros(64, np.int64)
-    for lo in range(0, n, 255):  # bytes of a lane can't overflow
+    for lo in range(0, len(h), 255):  # bytes of a lane can't overflow
         part = h[lo : lo + 255]
         for j in range(8):
             lanes = ((part >> np.uint64(j)) & _LANES).sum(dtype=np.uint64)
             counts[j::8] += np.array([lanes], "<u8").view(np.uint8)
-    bits = np.flatnonzero(2 * counts > n)
+    bits = np.flatnonzero(2 * counts > len(h))
     return sum(1 << int(b) for b in bits)
 
 
+def fingerprint(text: str | None, words: int = SHINGLE) -> int:
+    """64-bit SimHash of the word shingles of the whole text, repeats included; zero where there is no word."""
+    return _majority(_hashes(text, words))
+
+
 def _printer(words: int):
     def prints(batches):
         for b in batches:
@@ -133,9 +143,7 @@ _FACTORS = np.random.default_rng(5).integers(0, 1 << 63, BANDS * BAND_ROWS, dtyp
 
 def shingles(text: str | None, words: int) -> np.ndarray:
     """Sorted distinct hashes of the word shingles; of the whole text if it has fewer words, none if it has no word."""
-    parts = (text or "").encode("utf-8", "replace").lower().split()
-    runs = {b" ".join(parts[i : i + words]) for i in range(max(len(parts) - words + 1, 1))} if parts else ()
-    return np.unique(np.array([xxhash.xxh64_intdigest(x, 42) for x in runs], np.uint64))
+    return np.unique(_hashes(text, words))
 
 
 def _bands(h: np.ndarray) -> list[int]:
@@ -145,19 +153,40 @@ def _bands(h: np.ndarray) -> list[int]:
     return [xxhash.xxh64_intdigest(row.tobytes(), i) for i, row in enumerate(least)]
 
 
-def _shingler(words: int):
-    longs = lambda rows: pa.array([np.array(r, np.uint64).view(np.int64) for r in rows], pa.list_(pa.int64()))
+def _longs(rows: list) -> pa.Array:
+    return pa.array([np.array(r, np.uint64).view(np.int64) for r in rows], pa.list_(pa.int64()))
 
+
+def _same(parts: np.ndarray) -> bytes:
+    return xxhash.xxh128_digest(parts.tobytes())
+
+
+def _shingler(words: int):
     def shingle(batches):
         for b in batches:
-            sets = [shingles(t, words) for t in b.column("text").to_pylist()]
-            same = pa.array([xxhash.xxh128_digest(h.tobytes()) for h in sets], pa.binary())
-            fp = pa.array(np.array([fingerprint(t, words) for t in b.column("text").to_pylist()], np.uint64).view(np.int64))
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), same, fp, longs(sets), longs([_bands(h) for h in sets])], names=["doc_id", "same", "fp", "parts", "keys"])
+            same, fp, size, keys = [], [], [], []
+            for text in b.column("text").to_pylist():
+                h = _hashes(text, words)
+                parts = np.unique(h)
+                same.append(_same(parts))
+                fp.append(_majority(h))
+                size.append(len(parts))
+                keys.append(_bands(parts))
+            columns = [b.column("doc_id"), pa.array(same, pa.binary()), pa.array(np.array(fp, np.uint64).view(np.int64)), pa.array(size, pa.int32()), _longs(keys)]
+            yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "same", "fp", "size", "keys"])
 
     return shingle
 
 
+def _parted(words: int):
+    def parted(batches):
+        for b in batches:
+            found = [(i, parts) for i, same, text in zip(*(b.column(c).to_pylist() for c in ("id", "same", "text"))) if _same(parts := shingles(text, words)) == same]
+            yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in found], pa.int64()), _longs([p for _, p in found])], names=["id", "parts"])
+
+    return parted
+
+
 def printed_pairs(sets: DataFrame) -> DataFrame:
     """Pairs (u, v) of sets (id, fp) that the tiles link: each with the first set of its fingerprint, and the first sets of linked fingerprints."""
     first = written(sets.groupBy("fp").agg(F.min("id").alias("first")), "first-sets")
@@ -173,30 +202,39 @@ def similar_documents(docs: DataFrame, words: int = 5, similarity: float = 0.8)
     Candidates are those whose SimHashes the tiles link at RADIUS bits, and those that share a MinHash band, as the
     SimHashes of most pairs at the similarity differ in more bits; the sets decide. Each bucket's rows are compared with one of them, another in each
     band, and then all pairs that these links leave in different groups. Texts without words are alike.
+
+    Of a set only its size, its SimHash and its keys are stored; the sets of candidates are made from their texts once more.
     """
-    rows = written(docs.select("doc_id", "text").mapInArrow(_shingler(words), "doc_id long, same binary, fp long, parts array<long>, keys array<long>"), "shingles")
-    sets = rows.groupBy("same").agg(F.min("doc_id").alias("least"), F.min("fp").alias("fp"), F.first("parts").alias("parts"), F.first("keys").alias("keys"))
-    sets = written(sets.select(F.monotonically_increasing_id().alias("id"), "*"), "shingle-sets")
-    size = F.size("parts").alias("size")
-    spread = sets.select("id", size, F.explode("keys").alias("key"))
-
-    def verified(pairs: DataFrame) -> DataFrame:
-        side = lambda i, a: sets.select(F.col("id").alias(i), F.col("parts").alias(a))
-        both = pairs.distinct().join(side("u", "a"), "u").join(side("v", "b"), "v").withColumn("common", F.size(F.array_intersect("a", "b")))
-        return both.where(F.col("common") + 1e-9 >= similarity * (F.size("a") + F.size("b") - F.col("common"))).select("u", "v")
-
-    close = lambda a, b: F.least(a, b) + 1e-9 >= similarity * F.greatest(a, b)
-    lead = spread.groupBy("key").agg(F.min_by(F.struct("id", "size"), F.xxhash64("id", "key")).alias("l"), F.count(F.lit(1)).alias("n")).where("n > 1")
-    lead = lead.select("key", F.col("l.id").alias("v"), F.col("l.size").alias("other"))
-    stars = spread.withColumnRenamed("id", "u").join(lead, "key").where((F.col("u") != F.col("v")) & close(F.col("size"), F.col("other")))
-    stars = stars.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).unionByName(printed_pairs(sets.select("id", "fp")))
-    stars = written(verified(stars), "document-stars")
-    rooted = spread.join(components(stars, "documents").withColumnRenamed("node", "id"), "id", "left").withColumn("root", F.coalesce("root", "id"))
-    mixed = rooted.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("key")
-    rooted = written(rooted.join(mixed, "key", "left_semi"), "document-buckets")
-    other = rooted.select("key", F.col("id").alias("v"), F.col("size").alias("other"), F.col("root").alias("o_root"))
-    more = rooted.withColumnRenamed("id", "u").join(other, "key").where((F.col("root") != F.col("o_root")) & (F.col("u") > F.col("v")) & close(F.col("size"), F.col("other")))
-    roots = components(stars.unionByName(verified(more.select("u", "v"))), "documents")
-    joined = sets.select("id", "same", "least").join(roots.withColumnRenamed("node", "id"), "id", "left").withColumn("root", F.coalesce("root", "id"))
-    ids = joined.groupBy("root").agg(F.min("least").alias("component_id"))
-    return rows.select("doc_id", "same").join(joined.join(ids, "root").select("same", "component_id"), "same").select("doc_id", "component_id")
+    with scope(docs.sparkSession) as inner:
+        rows = written(docs.select("doc_id", "text").mapInArrow(_shingler(words), "doc_id long, same binary, fp long, size int, keys array<long>"), "shingles")
+        sets = rows.groupBy("same").agg(F.min("doc_id").alias("least"), F.min("fp").alias("fp"), F.first("size").alias("size"), F.first("keys").alias("keys"))
+        sets = written(sets.select(F.monotonically_increasing_id().alias("id"), "*"), "shingle-sets")
+        spread = sets.select("id", "size", F.explode("keys").alias("key"))
+
+        def verified(pairs: DataFrame, tag: str) -> DataFrame:
+            with scope(docs.sparkSession) as checking:
+                pairs = written(pairs.distinct(), "document-pairs")
+                ids = pairs.select(F.col("u").alias("id")).union(pairs.select("v")).distinct()
+                wanted = checked(written(sets.select("id", "same", "least").join(ids, "id"), "wanted-sets"), BROADCAST_ROWS)
+                texts = docs.join(wanted, docs["doc_id"] == wanted["least"]).select("id", "same", "text")
+                # rows may share a doc_id
+                parts = written(texts.mapInArrow(_parted(words), "id long, parts array<long>").groupBy("id").agg(F.first("parts").alias("parts")), "wanted-parts")
+                side = lambda i, a: parts.select(F.col("id").alias(i), F.col("parts").alias(a))
+                both = pairs.join(side("u", "a"), "u").join(side("v", "b"), "v").withColumn("common", F.size(F.array_intersect("a", "b")))
+                return checking.keep(both.where(F.col("common") + 1e-9 >= similarity * (F.size("a") + F.size("b") - F.col("common"))).select("u", "v"), tag)
+
+        close = lambda a, b: F.least(a, b) + 1e-9 >= similarity * F.greatest(a, b)
+        lead = spread.groupBy("key").agg(F.min_by(F.struct("id", "size"), F.xxhash64("id", "key")).alias("l"), F.count(F.lit(1)).alias("n")).where("n > 1")
+        lead = lead.select("key", F.col("l.id").alias("v"), F.col("l.size").alias("other"))
+        stars = spread.withColumnRenamed("id", "u").join(lead, "key").where((F.col("u") != F.col("v")) & close(F.col("size"), F.col("other")))
+        stars = stars.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).unionByName(printed_pairs(sets.select("id", "fp")))
+        stars = verified(stars, "document-stars")
+        rooted = spread.join(components(stars, "documents").withColumnRenamed("node", "id"), "id", "left").withColumn("root", F.coalesce("root", "id"))
+        mixed = rooted.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("key")
+        rooted = written(rooted.join(mixed, "key", "left_semi"), "document-buckets")
+        other = rooted.select("key", F.col("id").alias("v"), F.col("size").alias("other"), F.col("root").alias("o_root"))
+        more = rooted.withColumnRenamed("id", "u").join(other, "key").where((F.col("root") != F.col("o_root")) & (F.col("u") > F.col("v")) & close(F.col("size"), F.col("other")))
+        roots = components(stars.unionByName(verified(more.select("u", "v"), "document-links")), "documents")
+        joined = sets.select("id", "same", "least").join(roots.withColumnRenamed("node", "id"), "id", "left").withColumn("root", F.coalesce("root", "id"))
+        ids = joined.groupBy("root").agg(F.min("least").alias("component_id"))
+        return inner.keep(rows.select("doc_id", "same").join(joined.join(ids, "root").select("same", "component_id"), "same").select("doc_id", "component_id"), "document-components")

@@ -80,3 +80,26 @@ def test_fingerprints_find_near_copies(spark):
     for _ in pairs:
         group |= {i for p in pairs for i in p if set(p) & group}
     assert group == {0, 1, 3}
+
+
+def test_sets_of_shingles_need_little_disk(spark):
+    """What the document stage has written at once is less than 0.9 of its texts: sets of shingles are kept of candidates only."""
+    from dyngraph import storage
+
+    rng = random.Random(4)
+    texts = [[rng.choice("abcdefghijklmnopqrstuvwxyz") + str(rng.randrange(10**6)) for _ in range(600)] for _ in range(200)]
+    texts += [words[:-2] + ["altered"] for words in texts[:3]]
+    docs = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(texts)] + [(0, " ".join(texts[0]))] * 3, "doc_id long, text string")
+    with storage.peak() as all_texts:
+        docs = storage.written(docs, "texts")
+    with storage.peak() as all_written:
+        got = corpus_pipeline.drop_near_duplicates(spark, docs, "")
+    assert sorted(r["doc_id"] for r in got.collect()) == list(range(200))
+    assert all_written["bytes"] < 0.9 * all_texts["bytes"]
+
+
+def test_language_stage_sends_no_text(spark, sf):
+    """The rejected documents are few and are broadcast, so that the stage has no shuffle of texts."""
+    out = corpus_pipeline.identify_language(spark, spark.read.parquet(f"{sf}/documents.parquet"), sf)
+    plan = out._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastHashJoin" in plan and "hashpartitioning" not in plan
